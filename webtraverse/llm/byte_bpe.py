@@ -19,7 +19,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import TwoAgeCache, text_column
+from .common import TwoAgeCache, map_arrow, text_column
 
 DEFAULT_RANKS = "byte_bpe_multi_50k.tiktoken"
 LEAF_BYTES = 24
@@ -113,8 +113,8 @@ class TextEncoder:
         """The ids as little-endian unsigned 32-bit integers."""
         matches = self.split(text)
         for m in self.cache.missing(set(matches)):
-            self.cache[m] = np.array(self.bpe.encode(m.encode()), dtype="<u4").tobytes()
-        return b"".join(map(self.cache.__getitem__, matches))
+            self.cache.now[m] = np.array(self.bpe.encode(m.encode()), dtype="<u4").tobytes()
+        return b"".join(map(self.cache.now.__getitem__, matches))
 
     def decode_bytes(self, ids: bytes) -> bytes:
         return self.bpe.decode(np.frombuffer(ids, dtype="<u4").tolist())
@@ -139,7 +139,7 @@ def encode_documents(docs: DataFrame, ranks_path: str | None = None, pattern: st
             ids = [np.frombuffer(enc.id_bytes(t), dtype="<u4").astype("int32") for t in batch.column(1).to_pylist()]
             yield pa.record_batch([batch.column(0), pa.array(ids, pa.list_(pa.int32()))], ["doc_id", "token_ids"])
 
-    return docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text")).mapInArrow(work, "doc_id long, token_ids array<int>")
+    return map_arrow(docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text")), work, "doc_id long, token_ids array<int>")
 
 
 def decode_documents(encoded: DataFrame, ranks_path: str | None = None) -> DataFrame:
@@ -151,7 +151,7 @@ def decode_documents(encoded: DataFrame, ranks_path: str | None = None) -> DataF
             data = [enc.bpe.decode(x or []) for x in batch.column(1).to_pylist()]
             yield pa.record_batch([batch.column(0), pa.array(data, pa.binary())], ["doc_id", "data"])
 
-    return encoded.select("doc_id", "token_ids").mapInArrow(work, "doc_id long, data binary")
+    return map_arrow(encoded.select("doc_id", "token_ids"), work, "doc_id long, data binary")
 
 
 def round_trip_digest(docs: DataFrame, ranks_path: str | None = None, pattern: str | None = None) -> DataFrame:
@@ -168,4 +168,4 @@ def round_trip_digest(docs: DataFrame, ranks_path: str | None = None, pattern: s
                 b.append(hashlib.sha256(enc.decode_bytes(ids)).hexdigest())
             yield pa.record_batch([batch.column(0), pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text")).mapInArrow(work, ENCODED)
+    return map_arrow(docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text")), work, ENCODED)

@@ -10,6 +10,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import ship_package
+
 #: Words are runs of anything but these ASCII blanks; ``bytes.split()`` splits at exactly them.
 BLANKS = r"[\x20\x09-\x0D]+"
 
@@ -51,6 +53,12 @@ def discard(df: DataFrame | None) -> None:
     where.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def map_arrow(df: DataFrame, work, schema: str) -> DataFrame:
+    """``mapInArrow`` with this package on every executor."""
+    ship_package(df.sparkSession)
+    return df.mapInArrow(work, schema)
+
+
 def text_column(df: DataFrame, name: str = "text"):
     """Null text counts as empty everywhere."""
     return F.coalesce(df[name].cast("string"), F.lit(""))
@@ -83,24 +91,23 @@ def partitions_for(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-class TwoAgeCache(dict):
-    """A dictionary of bounded size: when it is full, entries unused since the last turn are dropped."""
+class TwoAgeCache:
+    """A dictionary of bounded size: when ``now`` is full, it becomes the older half, of which only entries in use are moved up."""
 
     def __init__(self, limit: int):
-        super().__init__()
         self.limit = limit
+        self.now: dict = {}
         self.old: dict = {}
 
     def missing(self, keys: set) -> list:
-        """Keys that must be computed; those found in the older half are moved up."""
-        if len(self) > self.limit:
-            self.old = dict(self)
-            self.clear()
+        """Keys that must be computed and put into ``now``."""
+        if len(self.now) > self.limit:
+            self.now, self.old = {}, self.now
         absent = []
-        for k in keys.difference(self):
+        for k in keys.difference(self.now):
             v = self.old.get(k)
             if v is None:
                 absent.append(k)
             else:
-                self[k] = v
+                self.now[k] = v
         return absent

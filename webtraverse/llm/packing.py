@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from .common import TwoAgeCache, text_column
+from .common import TwoAgeCache, map_arrow, text_column
 
 DEFAULT_VOCABULARY = "word_bpe_49k.json"
 TIERS = (256, 512, 1024, 2048)
@@ -62,7 +62,7 @@ class WordTokenizer:
             cuts = np.searchsorted(starts, ends, side="left").tolist()
             data, a = ids.tobytes(), 0
             for c, b in zip(part, cuts):
-                self.cache[c] = data[4 * a : 4 * b]
+                self.cache.now[c] = data[4 * a : 4 * b]
                 a = b
 
     def id_bytes(self, texts: list[str]) -> list[bytes]:
@@ -71,7 +71,7 @@ class WordTokenizer:
         for words in split:
             known.update(words)
         self._learn(self.cache.missing(known))
-        find = self.cache.__getitem__
+        find = self.cache.now.__getitem__
         return [b"".join(map(find, words)) for words in split]
 
 
@@ -208,4 +208,4 @@ def pack_documents(docs: DataFrame, vocabulary: str | None = None, tiers=TIERS,
         packer.close()
         yield flush()
 
-    return docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text")).mapInArrow(work, schema)
+    return map_arrow(docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text")), work, schema)

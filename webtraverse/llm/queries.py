@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import byte_bpe, packing
+from . import byte_bpe, language_model, licenses, packing, quality, url_filter
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -15,13 +16,32 @@ def op2_hierarchical_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"))
 
 
+def op3_link_graph_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return url_filter.judge(table(spark, sf_dir, "pages"))
+
+
+def op5_pairwise_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    return quality.score_documents(docs, quality.train(docs, labels.where(~quality.held_out(F.col("doc_id")))))
+
+
 def op7_monoid_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return byte_bpe.round_trip_digest(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {
-    "op2_hierarchical_packing": op2_hierarchical_packing,
-    "op7_monoid_byte_bpe": op7_monoid_byte_bpe,
-}
+def op9_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents labelled good and not toxic are the target; all documents are the background."""
+    targets = table(spark, sf_dir, "labels").where("quality = 1 and toxic = 0").select("doc_id")
+    return language_model.cross_entropy_difference(table(spark, sf_dir, "documents"), targets)
 
-ORACLES: dict[str, str] = {}
+
+def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan_documents(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op2_hierarchical_packing, op3_link_graph_url_filter, op5_pairwise_quality, op7_monoid_byte_bpe, op9_cross_entropy_difference, op10_license_scan)}
+
+ORACLES: dict[str, str] = {
+    "op3_link_graph_url_filter": url_filter.oracle(),
+    "op10_license_scan": licenses.oracle(),
+}
