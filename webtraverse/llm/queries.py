@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, language_model, licenses, packing, quality, url_filter
+from . import byte_bpe, language_model, licenses, packing, quality, substring_dedup, url_filter
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -29,6 +29,10 @@ def op7_monoid_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return byte_bpe.round_trip_digest(table(spark, sf_dir, "documents"))
 
 
+def op8_repeated_phrase_automata(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.digest(table(spark, sf_dir, "documents"))
+
+
 def op9_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents labelled good and not toxic are the target; all documents are the background."""
     targets = table(spark, sf_dir, "labels").where("quality = 1 and toxic = 0").select("doc_id")
@@ -39,7 +43,7 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan_documents(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op2_hierarchical_packing, op3_link_graph_url_filter, op5_pairwise_quality, op7_monoid_byte_bpe, op9_cross_entropy_difference, op10_license_scan)}
+QUERIES = {f.__name__: f for f in (op2_hierarchical_packing, op3_link_graph_url_filter, op5_pairwise_quality, op7_monoid_byte_bpe, op8_repeated_phrase_automata, op9_cross_entropy_difference, op10_license_scan)}
 
 ORACLES: dict[str, str] = {
     "op3_link_graph_url_filter": url_filter.oracle(),
