@@ -5,13 +5,17 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, language_model, licenses, packing, quality, substring_dedup, url_filter
+from . import byte_bpe, language_model, licenses, minhash_dedup, packing, quality, substring_dedup, url_filter
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_chosen_path_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash_dedup.near_duplicates(table(spark, sf_dir, "documents"), k=2, threshold=0.8)
+
+
 def op2_hierarchical_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"))
 
@@ -43,7 +47,7 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan_documents(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op2_hierarchical_packing, op3_link_graph_url_filter, op5_pairwise_quality, op7_monoid_byte_bpe, op8_repeated_phrase_automata, op9_cross_entropy_difference, op10_license_scan)}
+QUERIES = {f.__name__: f for f in (op1_chosen_path_near_dedup, op2_hierarchical_packing, op3_link_graph_url_filter, op5_pairwise_quality, op7_monoid_byte_bpe, op8_repeated_phrase_automata, op9_cross_entropy_difference, op10_license_scan)}
 
 ORACLES: dict[str, str] = {
     "op3_link_graph_url_filter": url_filter.oracle(),
