@@ -1,11 +1,53 @@
-"""The corpus pipeline: quality classifier, near-duplicate removal, repeated passages, packing."""
+"""The corpus pipeline: quality classifier, near-duplicate removal, repeated passages, packing.
 
-STAGES: list = []
+Each stage takes (spark, docs, sf_dir) and returns a DataFrame that is written and read again before the next one. All but
+the last return the columns of documents; the last returns the pieces of the packed sequences.
+
+Behaviour at the edges: a stage gets whatever its predecessor kept, and an empty table gives an empty result; null texts count as empty;
+other columns are carried through the filtering stages; each operator's module states the rest.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+from webtraverse.llm import minhash_dedup, packing, quality, substring_dedup
+from webtraverse.llm.common import materialize
+
+
+def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents whose score reaches the threshold stay."""
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    return quality.keep_good(docs, quality.train(docs, labels))
+
+
+def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near-duplicates stays: five words, a similarity of 0.8 or more."""
+    return minhash_dedup.drop_near_duplicates(docs, k=5, threshold=0.8)
+
+
+def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Words of passages of 50 words or more that an earlier document holds are cut from the texts."""
+    return substring_dedup.clean(docs)
+
+
+def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return packing.pack_documents(docs)
+
+
+STAGES = [
+    ("quality classifier", quality_stage),
+    ("minhash near-dedup", near_duplicate_stage),
+    ("substring dedup", substring_stage),
+    ("packing", packing_stage),
+]
+
+#: The stages are not expressible in SQL; tests compare them with brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
-    return docs
+    for name, stage in STAGES[:-1]:
+        docs = materialize(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+    return STAGES[-1][1](spark, docs, sf_dir)
