@@ -4,9 +4,10 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 import zipfile
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 _shipped: set[str] = set()
 
@@ -37,3 +38,36 @@ def ship_package(spark: SparkSession) -> None:
                     z.write(full, os.path.join("webtraverse", os.path.relpath(full, home)))
     spark.sparkContext.addPyFile(path)
     _shipped.add(app)
+
+
+_own_dir: str | None = None
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that all executors share: ``spark.checkpoint.dir``; a folder of our own only where that is unset."""
+    global _own_dir
+    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if named:
+        return named.rstrip("/")
+    if _own_dir is None:
+        _own_dir = "file://" + tempfile.mkdtemp(prefix="webtraverse-")
+    return _own_dir
+
+
+def durable(df: DataFrame, tag: str) -> DataFrame:
+    """Write ``df`` as Parquet in the shared folder and read it back: cuts the lineage and outlives executors."""
+    spark, schema = df.sparkSession, df.schema
+    path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    back = spark.read.schema(schema).parquet(path)
+    back._durable_path = path
+    return back
+
+
+def discard(df: DataFrame | None) -> None:
+    """Delete a table written by ``durable`` which nothing reads any more."""
+    path = getattr(df, "_durable_path", None)
+    if path:
+        jvm = df.sparkSession.sparkContext._jvm
+        where = jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
