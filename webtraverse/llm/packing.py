@@ -15,7 +15,9 @@ documents may repeat or be null; documents longer than any window are cut; an em
 from __future__ import annotations
 
 import bisect
+import unicodedata
 import zlib
+from itertools import compress
 
 import numpy as np
 import pyarrow as pa
@@ -30,7 +32,8 @@ END_ID = 1
 STEP_TOKENS = 16_384
 MIN_PIECE = 8
 BLOCK_TOKENS = 1_500_000
-CACHE_ENTRIES = 400_000
+CACHE_ENTRIES = 1_000_000
+MARKS = b"!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 TEXTS_AT_ONCE = 256
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, sequence_length int, step_group long"
 
@@ -38,41 +41,82 @@ PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long,
 class WordTokenizer:
     """Ids of whole texts by a word-level vocabulary file.
 
-    The vocabulary's own splitting never joins what blanks part, so blank-separated chunks are encoded once and kept.
+    The vocabulary's own splitting never joins what blanks part, so blank-separated chunks are encoded once and kept. Nor
+    does it join letters with the ASCII marks behind them, so many new chunks can be encoded in one string and told apart.
     """
 
     def __init__(self, path: str | None = None):
         import public_tokenizers
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
-        self.model = Tokenizer.from_file(path or public_tokenizers.path(DEFAULT_VOCABULARY))
+        file = path or public_tokenizers.path(DEFAULT_VOCABULARY)
+        self.model, self.bare, self.ascii = Tokenizer.from_file(file), Tokenizer.from_file(file), Tokenizer.from_file(file)
+        self.bare.normalizer = self.ascii.normalizer = normalizers.Sequence([])
+        self.ascii.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
+        self.bare.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         self.model.encode_special_tokens = True
+        known = self.model.get_vocab(with_added_tokens=True)
+        self.ends_word = np.zeros(max(known.values()) + 1, dtype=bool)
+        self.ends_word[[i for t, i in known.items() if t.endswith("</w>")]] = True
         self.cache = TwoAgeCache(CACHE_ENTRIES)
+        self.others: dict[bytes, bytes] = {}
+
+    def _plain(self, chunks: list[bytes]) -> list[bytes]:
+        """Ids of each chunk, encoded by itself."""
+        got = self.model.encode_batch_fast([c.decode() for c in chunks], add_special_tokens=False)
+        return [np.array(x.ids, dtype="<u4").tobytes() for x in got]
 
     def _learn(self, chunks: list[bytes]) -> None:
-        """Encode new chunks in one string, and cut the ids where the chunks begin."""
-        for at in range(0, len(chunks), 20_000):
-            part = chunks[at : at + 20_000]
-            words = [c.decode() for c in part]
-            sizes = np.fromiter(map(len, words), dtype=np.int64, count=len(words))
-            ends = np.cumsum(sizes + 1) - 1
-            got = self.model.encode(" ".join(words), add_special_tokens=False)
-            ids = np.array(got.ids, dtype="<u4")
-            starts = np.array(got.offsets, dtype=np.int64).reshape(-1, 2)[:, 0]
-            cuts = np.searchsorted(starts, ends, side="left").tolist()
-            data, a = ids.tobytes(), 0
-            for c, b in zip(part, cuts):
-                self.cache.now[c] = data[4 * a : 4 * b]
-                a = b
-
-    def id_bytes(self, texts: list[str]) -> list[bytes]:
-        split = [t.encode().split() for t in texts]
-        known: set = set()
-        for words in split:
-            known.update(words)
-        self._learn(self.cache.missing(known))
-        find = self.cache.now.__getitem__
-        return [b"".join(map(find, words)) for words in split]
+        """Heads of letters, lowered and composed already, are encoded in one string without the vocabulary's own normalising, and
+        cut behind each token that ends a word; the few kinds of tails are kept by themselves."""
+        stems = [c.rstrip(MARKS) for c in chunks]
+        latin = [h.isalpha() for h in stems]
+        self._cut(self.ascii, list(compress(chunks, latin)), [h.lower() for h in compress(stems, latin)])
+        plain, heads, rest = [], [], []
+        for c, head, done in zip(chunks, stems, latin):
+            if done:
+                continue
+            if head and not head.isascii() and (text := head.decode()).lower().isalpha() and "\u03a3" not in text and unicodedata.is_normalized("NFC", text):
+                plain.append(c)
+                heads.append(text.lower().encode())
+            else:
+                rest.append(c)
+        # Lowering keeps the number of characters of a head but not always that of its bytes.
+        self._cut(self.bare, plain, heads, [c[len(c.rstrip(MARKS)) :] for c in plain])
+        self.cache.now.update(zip(rest, self._plain(rest)))
+
+    def _cut(self, model, chunks: list[bytes], heads: list[bytes], tails: list[bytes] | None = None) -> None:
+        now, others = self.cache.now, self.others
+        if tails is None:
+            tails = [c[len(h) :] for c, h in zip(chunks, heads)]
+        if len(others) > CACHE_ENTRIES:
+            others.clear()
+        new = [t for t in set(tails) if t not in others]
+        others.update(zip(new, self._plain(new)))
+        for at in range(0, len(chunks), 50_000):
+            part = heads[at : at + 50_000]
+            ids = np.array(model.encode_batch_fast([b" ".join(part).decode()], add_special_tokens=False)[0].ids, dtype="<u4")
+            cuts, data = (4 * (np.flatnonzero(self.ends_word[ids]) + 1)).tolist(), ids.tobytes()
+            if len(cuts) != len(part):
+                now.update(zip(chunks[at : at + 50_000], self._plain(chunks[at : at + 50_000])))
+                continue
+            got = [data[a:b] for a, b in zip([0, *cuts], cuts)]
+            now.update(zip(chunks[at : at + 50_000], [g + others[t] if t else g for g, t in zip(got, tails[at : at + 50_000])]))
+
+    def id_bytes(self, texts: list[bytes]) -> list[bytes]:
+        """The ids of each text (in UTF-8) as little-endian unsigned 32-bit integers."""
+        split = [t.split() for t in texts]
+        get = self.cache.now.get
+        found = [list(map(get, words)) for words in split]
+        gaps = [[i for i, x in enumerate(ids) if x is None] for ids in found]
+        absent = {words[i] for words, own in zip(split, gaps) for i in own}
+        if absent:
+            self._learn(self.cache.missing(absent))
+            get = self.cache.now.__getitem__
+            for words, ids, own in zip(split, found, gaps):
+                for i in own:
+                    ids[i] = get(words[i])
+        return list(map(b"".join, found))
 
 
 _tokenizers: dict = {}
@@ -200,7 +244,7 @@ def pack_documents(docs: DataFrame, vocabulary: str | None = None, tiers=TIERS,
         for batch in batches:
             for a in range(0, batch.num_rows, TEXTS_AT_ONCE):
                 part = batch.slice(a, TEXTS_AT_ONCE)
-                for doc, data in zip(part.column(0).to_pylist(), tok.id_bytes(part.column(1).to_pylist())):
+                for doc, data in zip(part.column(0).to_pylist(), tok.id_bytes(part.column(1).cast(pa.binary()).to_pylist())):
                     packer.add(doc, data + end)
                 if packer.tokens + packer.top * len(packer.finished) > BLOCK_TOKENS:
                     packer.pack()
