@@ -46,7 +46,7 @@ def trigram_codes(data: np.ndarray) -> np.ndarray:
 
 def count_trigrams(docs: DataFrame, targets: DataFrame) -> DataFrame:
     """(gram int, background long, target long) over all documents."""
-    wanted = targets.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct().withColumn("wanted", F.lit(True))
+    wanted = targets.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct().withColumn("wanted", F.lit(True)).hint("merge")  # one way at every size
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text")).join(wanted, "doc_id", "left").select(F.coalesce("wanted", F.lit(False)).alias("wanted"), "text")
 
     def work(batches):
