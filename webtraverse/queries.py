@@ -242,7 +242,7 @@ def match_repeated_variable(spark, sf_dir):
 def match_literal_constant(spark, sf_dir):
     q = query("lit", ("?c", "c_mktsegment", "BUILDING"), ("?c", "p_size", 7.0))
     sized = ConjunctiveQuery("lit", (q.patterns[0], query("x", ("?c", "p_size", 7.0)).patterns[0]))
-    return reach.matches(web_of(spark, sf_dir, True).triples, sized).select("c", "p")
+    return reach.matches(web_of(spark, sf_dir, True).triples, sized).select("c", F.col("_p").alias("p"))
 
 
 @register("all_match_union", f"with web as ({web_sql()}) select 'q1' as query, count(*)::bigint as n from web where p in (5, 6) or (p = 4 and o = 115) union all select 'q2', count(*)::bigint from web where p = 4 or (p = 2 and o = 50)")
@@ -745,19 +745,19 @@ def events_session(spark, sf_dir):
 
 @register("events_hourly", "select date_trunc('hour', ts) as hour, count(*)::bigint as n from events group by 1")
 def events_hourly(spark, sf_dir):
-    return table(spark, sf_dir, "events").groupBy(F.date_trunc("hour", "ts").alias("hour")).agg(F.count("*").alias("n"))
+    return table(spark, sf_dir, "events").groupBy(F.date_trunc("hour", "ts").cast("timestamp_ntz").alias("hour")).agg(F.count("*").alias("n"))
 
 
 @register("events_rolling", "select event_id, count(*) over (partition by user_id order by epoch_us(ts) range between 3600000000 preceding and current row)::bigint as recent from events")
 def events_rolling(spark, sf_dir):
-    w = W.partitionBy("user_id").orderBy(F.unix_micros("ts")).rangeBetween(-3_600_000_000, 0)
+    w = W.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(-3_600_000_000, 0)
     return table(spark, sf_dir, "events").select("event_id", F.count("*").over(w).alias("recent"))
 
 
 @register("events_interval_join", "select a.event_id as a, b.event_id as b from events a join events b on a.user_id = b.user_id and b.ts > a.ts and b.ts <= a.ts + interval 10 minutes")
 def events_interval_join(spark, sf_dir):
     """Pairs within ten minutes: both sides meet in buckets of that length, so the join has an equality to shuffle on."""
-    ev = table(spark, sf_dir, "events").select("event_id", "user_id", "ts", F.floor(F.unix_micros("ts") / 600_000_000).alias("bucket"))
+    ev = table(spark, sf_dir, "events").select("event_id", "user_id", "ts", F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 600_000_000).alias("bucket"))
     left = ev.select(F.col("event_id").alias("a"), "user_id", F.col("ts").alias("ts_a"), F.explode(F.array("bucket", F.col("bucket") + 1)).alias("bucket"))
     right = ev.select(F.col("event_id").alias("b"), "user_id", F.col("ts").alias("ts_b"), "bucket")
     return left.join(right, ["user_id", "bucket"]).where((F.col("ts_b") > F.col("ts_a")) & (F.col("ts_b") <= F.col("ts_a") + F.expr("interval 10 minutes"))).select("a", "b")
@@ -771,7 +771,7 @@ def event_props_k(spark, sf_dir):
 @register("orders_by_month_literal", f"select date_trunc('month', o_ts)::timestamp as month, count(*)::bigint as n from ({literal_sql()}) where p = {LITERALS['o_orderdate']} group by 1")
 def orders_by_month_literal(spark, sf_dir):
     lit = basegraph.literal_triples(spark, sf_dir).where(F.col("p") == LITERALS["o_orderdate"])
-    return lit.groupBy(F.date_trunc("month", "o_ts").alias("month")).agg(F.count("*").alias("n"))
+    return lit.groupBy(F.date_trunc("month", "o_ts").cast("timestamp_ntz").alias("month")).agg(F.count("*").alias("n"))
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:

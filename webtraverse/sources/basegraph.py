@@ -80,7 +80,7 @@ def literal_triples(spark: SparkSession, sf_dir: str) -> DataFrame:
                     F.lit(number).alias("p"),
                     (F.col(p) if kind == "string" else null.cast("string")).alias("o_str"),
                     (F.col(p).cast("double") if kind in ("double", "int", "bigint") else null.cast("double")).alias("o_dbl"),
-                    (F.col(p).cast("timestamp") if kind.startswith("timestamp") else null.cast("timestamp")).alias("o_ts"),
+                    (F.col(p).cast("timestamp_ntz") if kind.startswith("timestamp") else null.cast("timestamp_ntz")).alias("o_ts"),
                 )
             )
         rows = frame.select(_subject(source).alias("s"), F.explode(F.array(*objects)).alias("x")).select("s", "x.*")
@@ -90,7 +90,7 @@ def literal_triples(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def triples(spark: SparkSession, sf_dir: str, literals: bool = True) -> DataFrame:
     """All triples as (s, p, o_kind, o, o_str, o_dbl, o_ts)."""
-    links = link_triples(spark, sf_dir).select("s", "p", F.lit(URI).cast("byte").alias("o_kind"), "o", F.lit(None).cast("string").alias("o_str"), F.lit(None).cast("double").alias("o_dbl"), F.lit(None).cast("timestamp").alias("o_ts"))
+    links = link_triples(spark, sf_dir).select("s", "p", F.lit(URI).cast("byte").alias("o_kind"), "o", F.lit(None).cast("string").alias("o_str"), F.lit(None).cast("double").alias("o_dbl"), F.lit(None).cast("timestamp_ntz").alias("o_ts"))
     if not literals:
         return links
     lit = literal_triples(spark, sf_dir)

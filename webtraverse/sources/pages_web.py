@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 from ..functions.terms import BLANK, LITERAL, URI, hashed_id
 from .basegraph import table
 
-NEXT_TURN, SPOKEN_BY = 50, 51
+NEXT_TURN = 50
+ID_BITS = (1 << 58) - 1
 
 
 def page_parts(pages: DataFrame) -> DataFrame:
@@ -25,7 +26,7 @@ def page_links(pages: DataFrame) -> DataFrame:
 def page_web(pages: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(triples, resolve): documents are pages, links go to the host's own path; hrefs that lead to no page fail."""
     at = page_parts(pages)
-    url_id = lambda host, path: F.abs(F.xxhash64(host, path)) * 16 + 9
+    url_id = lambda host, path: F.xxhash64(host, path).bitwiseAND(F.lit(ID_BITS)) * 16 + 9
     own = at.select("page_id", "host", url_id(F.col("host"), F.col("path")).alias("doc"))
     target = url_id(F.when(F.col("href").contains("://"), F.regexp_extract("href", "://([^/?#]*)", 1)).otherwise(F.col("host")), F.regexp_replace("href", "^[a-z]+://[^/]*", ""))
     triples = page_links(pages).join(own, "page_id").select("doc", F.col("doc").alias("s"), F.lit(60).alias("p"), F.lit(URI).cast("byte").alias("o_kind"), target.alias("o"))
@@ -51,7 +52,7 @@ def parse_ntriples(lines: DataFrame, doc: str = "file") -> DataFrame:
     """(doc, s, p, o_kind, o, o_str) from N-Triples lines (``value``); lines of any other form are left out. Blank nodes are scoped by document."""
     got = lines.where(F.col("value").rlike(NTRIPLE)).select(*[F.regexp_extract("value", NTRIPLE, i + 1).alias(x) for i, x in enumerate("spo")])
     name = F.lit(doc)
-    iri = lambda c: F.abs(F.xxhash64(c)) * 16 + 11
+    iri = lambda c: F.xxhash64(c).bitwiseAND(F.lit(ID_BITS)) * 16 + 11
     node = lambda c: F.when(F.col(c).startswith("_:"), hashed_id(name, F.col(c))).when(F.col(c).startswith("<"), iri(F.col(c))).otherwise(hashed_id(F.col(c)))
     kind = F.when(F.col("o").startswith("_:"), BLANK).when(F.col("o").startswith("<"), URI).otherwise(LITERAL).cast("byte")
     return got.select(name.alias("doc"), node("s").alias("s"), iri(F.col("p")).alias("p"), kind.alias("o_kind"), node("o").alias("o"), F.when(F.col("o").startswith('"'), F.regexp_extract("o", r'^"((?:[^"\\]|\\.)*)"', 1)).alias("o_str"))
