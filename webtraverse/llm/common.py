@@ -29,12 +29,18 @@ def shared_dir(spark: SparkSession) -> str:
     return _own_dir
 
 
-def materialize(df: DataFrame, tag: str) -> DataFrame:
+ROWS_A_FILE = 20_000
+
+
+def materialize(df: DataFrame, tag: str, rows: int | None = None) -> DataFrame:
     """Write ``df`` as Parquet in the shared folder and read it back.
 
-    The copy cuts the lineage and outlives any executor. It stays until ``discard`` or until the folder is cleaned.
+    The copy cuts the lineage and outlives any executor. It stays until ``discard`` or until the folder is cleaned. ``rows``, a rough
+    number of rows where one is known, keeps small tables from being written as many tiny files.
     """
     spark = df.sparkSession
+    if rows is not None:
+        df = df.coalesce(max(1, -(-rows // ROWS_A_FILE)))
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
     schema = df.schema
     df.write.parquet(path)

@@ -4,11 +4,14 @@ Each document is the set of its distinct shingles of ``k`` words. Documents of e
 several independent trees a class walks down paths: a node picks a minwise hash function, the token it selects in the set leads to the
 child; a quarter of the nodes pick two, so that a pair at the threshold shares about one path in expectation at any depth. Nodes with few classes are
 compared exhaustively by bit sketches, larger ones are branched on. The trees repeat until pairs at the threshold are met with the
-target recall: at 0.8 and the starting depth, one tree meets 58 % of them, nine trees 99.96 %.
+target recall: at 0.8 and the starting depth, one tree meets 58 % of them, nine trees 99.96 %. Nodes that are large at one depth are
+split again some levels further down.
 
 Pairs that pass the sketches are confirmed on the full sets. That is done in two rounds, so that groups of copies don't
-give all their pairs: first a spanning forest of each small node and a star of each large one; then, only between classes that are not
-yet connected, every remaining pair. Large nodes that stay large at the deepest level are compared block against block.
+give all their pairs. First come a spanning forest of each small node and the stars of a few pivots of each large one. What this
+connects needs no further look. Then every remaining pair of a small node is tried across components. In a large node, the
+component that most of its classes belong to is compared with each class outside it, block by block and up to the first link; the
+outsiders alone go on down the tree. Nodes that stay large at the deepest level are compared block against block.
 
 Behaviour at the edges: null text and texts without words have no set, are linked with nothing and kept; a text of fewer than ``k`` words is one
 shingle; rows of one id are one document; a null id has no component and is kept; very long texts are hashed in slices; an empty table
@@ -21,13 +24,16 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import discard, map_arrow, materialize, runs, text_column
-from .components import components
+from .common import map_arrow, materialize, runs, text_column
+from .components import components, extend
+from .vectors import by_group, grouped_stream
 
-TREES, START_DEPTH, DEEPEST = 9, 4, 12
-LEAF = 64
+TREES, START_DEPTH, STRIDE, DEEPEST = 9, 4, 3, 13
+LEAF = 256
+PIVOTS, STAR_PART, MEMBER_CHUNK = 16, 5_000, 512
 FUNCTIONS = 128
 AT_ONCE = 256
 M31, M27 = np.uint64(0x7FB5D329728EA185), np.uint64(0x81DADEF4BC2DD44D)
@@ -181,6 +187,106 @@ def _leaves(rows: DataFrame, least: int, later: bool) -> DataFrame:
     return map_arrow(rows.select(cols).repartition("node").sortWithinPartitions("node"), work, "kind int, x long, y long")
 
 
+def _stars(large: DataFrame, least: int) -> DataFrame:
+    """(kind, x, y) links of large nodes: each class with its most similar pivot, and links that join pivots."""
+    drawn = F.row_number().over(W.partitionBy("node").orderBy(F.xxhash64("rep"), "rep"))
+    parts = F.ceil(F.col("n") / STAR_PART).cast("int")
+    pivots = large.withColumn("drawn", drawn).where(F.col("drawn") <= PIVOTS).withColumn("part", F.explode(F.sequence(F.lit(0), parts - 1)))
+    members = large.withColumn("part", F.pmod(F.xxhash64("rep", F.lit(3)), parts).cast("int"))
+    key = F.xxhash64("node", "part").alias("key")
+    both = pivots.select(key, F.lit(0).alias("role"), "rep", "s1", "s2").unionByName(members.select(key, F.lit(1).alias("role"), "rep", "s1", "s2"))
+
+    def work(batches):
+        group, ids, bits, parent = None, [], np.zeros((0, 2), np.uint64), []
+        for key, part in grouped_stream(batches, "key"):
+            if key != group:
+                group, ids, bits, parent = key, [], np.zeros((0, 2), np.uint64), []
+            roles, reps = part.column(1).to_numpy(), part.column(2).to_numpy()
+            s = np.stack([part.column(3).to_numpy(), part.column(4).to_numpy()], 1).view(np.uint64)
+            first = int((roles == 0).sum())
+            if first:
+                ids, bits = ids + reps[:first].tolist(), np.concatenate([bits, s[:first]])
+                parent = list(range(len(ids)))
+            if first == len(reps):
+                continue
+            reps, s = reps[first:], s[first:]
+            equal = FUNCTIONS - np.bitwise_count(s[:, None, :] ^ bits[None, :, :]).sum(axis=2, dtype=np.int64)
+            equal[reps[:, None] == np.array(ids)[None, :]] = -1
+            best = equal.argmax(axis=1)
+            near = np.flatnonzero(equal.max(axis=1) >= least)
+            links = [(int(reps[i]), ids[best[i]]) for i in near.tolist()]
+            for i in near[(equal[near] >= least).sum(axis=1) > 1].tolist():
+                own = np.flatnonzero(equal[i] >= least).tolist()
+                for j in own:
+                    a, b = best[i], j
+                    while parent[a] != a:
+                        a = parent[a]
+                    while parent[b] != b:
+                        b = parent[b]
+                    if a != b:
+                        parent[b] = a
+                        links.append((int(reps[i]), ids[j]))
+            pairs = np.sort(np.array(links, dtype=np.int64).reshape(-1, 2), axis=1)
+            yield pa.record_batch([pa.array(np.zeros(len(pairs), np.int32)), pa.array(pairs[:, 0].copy()), pa.array(pairs[:, 1].copy())], ["kind", "x", "y"])
+
+    return map_arrow(by_group(both), work, "kind int, x long, y long")
+
+
+def _outsiders(large: DataFrame) -> DataFrame:
+    """Rows of classes that are not of their node's main component ``main``, the one that most of its classes belong to."""
+    sizes = large.groupBy("node", "comp").agg(F.count("*").alias("m"))
+    main = sizes.groupBy("node").agg(F.max(F.struct("m", "comp")).alias("top")).select("node", F.col("top.comp").alias("main"))
+    return large.join(main, "node").where("comp <> main")
+
+
+def _to_main(outside: DataFrame, known: DataFrame, sketches: DataFrame, texts: DataFrame, k: int, threshold: float, least: int) -> DataFrame:
+    """(u, v): a confirmed link of an outsider with each chunk of a main component that has one."""
+    of100 = round(threshold * 100)
+    asked = outside.select("rep", "main").distinct()
+    mains = asked.select("main").distinct()
+    members = known.select(F.col("vertex").alias("rep"), F.col("component").alias("main")).unionByName(mains.select(F.col("main").alias("rep"), "main")).distinct().join(mains, "main", "left_semi")
+    chunks = members.groupBy("main").agg(F.ceil(F.count("*") / MEMBER_CHUNK).cast("int").alias("chunks"))
+    full = sketches.join(texts.dropDuplicates(["id"]).select(F.col("id").alias("rep"), "text"), "rep")
+    key = F.xxhash64("main", "chunk").alias("key")
+    data = members.join(chunks, "main").withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int")).join(full, "rep")
+    posed = asked.join(chunks, "main").join(full, "rep").withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    both = data.select(key, F.lit(0).alias("role"), "rep", "s1", "s2", "text").unionByName(posed.select(key, F.lit(1).alias("role"), "rep", "s1", "s2", "text"))
+
+    def work(batches):
+        group, ids, bits, held = None, [], [], []
+        for key, part in grouped_stream(batches, "key"):
+            if key != group:
+                group, ids, bits, held = key, [], [], []
+            u, v = [], []
+            for role, rep, s1, s2, text in zip(*(part.column(i).to_pylist() for i in range(1, 6))):
+                if role == 0:
+                    ids.append(rep)
+                    bits.append((s1, s2))
+                    held.append(text)
+                    continue
+                if not ids:
+                    continue
+                if isinstance(bits, list):
+                    bits = np.array(bits, dtype=np.int64).view(np.uint64)
+                equal = FUNCTIONS - np.bitwise_count(bits ^ np.array([[s1, s2]], dtype=np.int64).view(np.uint64)).sum(axis=1, dtype=np.int64)
+                own = None
+                for i in np.argsort(-equal, kind="stable").tolist():
+                    if equal[i] < least:
+                        break
+                    if own is None:
+                        own = shingle_set(words_of(text), k)
+                    if isinstance(held[i], str):
+                        held[i] = shingle_set(words_of(held[i]), k)
+                    common = len(own & held[i])
+                    if common and 100 * common >= of100 * (len(own) + len(held[i]) - common):
+                        u.append(rep)
+                        v.append(ids[i])
+                        break
+            yield pa.record_batch([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
+
+    return map_arrow(by_group(both), work, "u long, v long")
+
+
 def confirm(texts: DataFrame, pairs: DataFrame, k: int, threshold: float) -> DataFrame:
     """The pairs (x, y) whose full sets are as similar as asked; ``texts`` are (id, text)."""
     of100 = round(threshold * 100)
@@ -217,18 +323,19 @@ def _across(rows: DataFrame) -> DataFrame:
 
 
 def _deeper(rows: DataFrame, classes: DataFrame) -> DataFrame:
-    """(node, rep, s1, s2, comp, n) one level further down."""
+    """(node, rep, s1, s2, comp, n) some levels further down."""
 
     def work(batches):
         for batch in batches:
             if not batch.num_rows:
                 continue
             sig = np.frombuffer(b"".join(batch.column(5).to_pylist()), dtype=np.uint32).reshape(-1, FUNCTIONS)
-            a, b = _descend(batch.column(0).to_numpy().view(np.uint64), sig)
-            for child in (a, b):
-                at = pa.array(np.flatnonzero(child != 0))
-                rest = [batch.column(i).take(at) for i in (1, 2, 3, 4)]
-                yield pa.record_batch([pa.array(child[child != 0].view(np.int64)), *rest], ["node", "rep", "s1", "s2", "comp"])
+            row, node = np.arange(batch.num_rows), batch.column(0).to_numpy().view(np.uint64)
+            for _ in range(STRIDE):
+                a, b = _descend(node, sig[row])
+                row, node = np.concatenate([row, row[b != 0]]), np.concatenate([a, b[b != 0]])
+            rest = [batch.column(i).take(pa.array(row)) for i in (1, 2, 3, 4)]
+            yield pa.record_batch([pa.array(node.view(np.int64)), *rest], ["node", "rep", "s1", "s2", "comp"])
 
     with_sig = rows.select("node", "rep", "s1", "s2", "comp").join(classes.select("rep", "sig"), "rep").select("node", "rep", "s1", "s2", "comp", "sig")
     return _across(_counted(map_arrow(with_sig, work, "node long, rep long, s1 long, s2 long, comp long").distinct()))
@@ -244,46 +351,51 @@ def _blocks(rows: DataFrame) -> DataFrame:
 def classes_of(docs: DataFrame, k: int, threshold: float = 0.8, trees: int = TREES) -> tuple[DataFrame, DataFrame, DataFrame]:
     """The survey of all rows, (fp, rep) of each class of equal sets, and (vertex, component) of classes with links."""
     surveyed = materialize(survey(docs, k, trees), "sets")
-    least = least_matches(threshold)
+    n_rows, least = surveyed.count(), least_matches(threshold)
     some = surveyed.where("n_shingles > 0 and doc_id is not null")
     classes = some.groupBy("fp").agg(F.min("doc_id").alias("rep"), *(F.any_value(c).alias(c) for c in ("s1", "s2", "sig")))
     firsts = some.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.any_value("nodes").alias("nodes"))
-    met = materialize(_counted(firsts.select("rep", F.explode("nodes").alias("node")).distinct()), "nodes")
+    met = materialize(_counted(firsts.select("rep", F.explode("nodes").alias("node")).distinct()), "nodes", 4 * n_rows)
+    n_met = met.count()
     sketches = classes.select("rep", "s1", "s2")
     rows = met.join(sketches, "rep")
     small, large = rows.where(F.col("n") <= LEAF), rows.where(F.col("n") > LEAF)
 
-    pivot = large.groupBy("node").agg(F.min(F.struct("rep", "s1", "s2")).alias("p"))
-    same = FUNCTIONS - F.bit_count(F.col("s1").bitwiseXOR(F.col("p.s1"))) - F.bit_count(F.col("s2").bitwiseXOR(F.col("p.s2")))
-    stars = large.join(pivot, "node").where((same >= least) & (F.col("rep") != F.col("p.rep"))).select(F.lit(0).alias("kind"), F.least("rep", "p.rep").alias("x"), F.greatest("rep", "p.rep").alias("y"))
-    first = materialize(_leaves(small, least, later=False).unionByName(stars).distinct(), "firstlinks")
+    first = materialize(_leaves(small, least, later=False).unionByName(_stars(large, least)).distinct(), "firstlinks", n_met)
+    n_links = first.count()
     pairs = first.where("kind = 0").select("x", "y")
 
     involved = pairs.select(F.col("x").alias("id")).unionByName(pairs.select(F.col("y").alias("id"))).unionByName(met.where(F.col("n") > LEAF).select(F.col("rep").alias("id"))).distinct()
-    texts = materialize(docs.select(docs["doc_id"].cast("long").alias("id"), text_column(docs).alias("text")).join(involved, "id"), "texts")
-    good = materialize(confirm(texts, pairs, k, threshold), "goodlinks")
-    known = materialize(components(good), "known")
+    texts = materialize(docs.select(docs["doc_id"].cast("long").alias("id"), text_column(docs).alias("text")).join(involved, "id"), "texts", 4 * n_rows)
+    good = materialize(confirm(texts, pairs, k, threshold), "goodlinks", 10 * n_links)
+    known = materialize(components(good, n_links), "known", n_links)
 
     labelled = rows.join(known.withColumnRenamed("vertex", "rep"), "rep", "left").withColumn("comp", F.coalesce("component", "rep")).drop("component")
     open_nodes = first.where("kind = 2").select(F.col("x").alias("node"))
-    rest = _leaves(_across(labelled.where(F.col("n") <= LEAF).join(open_nodes, "node", "left_semi")), least, later=True)
-    found = [materialize(rest, "laterlinks")]
-    level = materialize(_across(labelled.where(F.col("n") > LEAF)), "large")
-    for depth in range(START_DEPTH + 1, DEEPEST + 1):
-        if level.isEmpty():
-            break
-        down = materialize(_deeper(level, classes), "deeper")
-        found.append(materialize(_leaves(down.where(F.col("n") <= LEAF), least, later=True), "laterlinks"))
-        discard(level)
-        level = materialize(down.where(F.col("n") > LEAF), "large")
-        discard(down)
-    if not level.isEmpty():
-        found.append(_leaves(_blocks(level), least, later=True))
+    found = [_leaves(_across(labelled.where(F.col("n") <= LEAF).join(open_nodes, "node", "left_semi")), least, later=True)]
+    outside = materialize(_outsiders(_across(labelled.where(F.col("n") > LEAF))), "outsiders", n_met)
+    joined = None
+    if not outside.isEmpty():
+        joined = _to_main(outside, known, sketches, texts, k, threshold, least)
+        left = materialize(_across(_counted(outside.select("node", "rep", "s1", "s2", "comp"))), "left", n_met)
+        found.append(_leaves(left.where(F.col("n") <= LEAF), least, later=True))
+        level, depth = left.where(F.col("n") > LEAF), START_DEPTH
+        while not level.isEmpty() and depth < DEEPEST:
+            depth += STRIDE
+            down = materialize(_deeper(level, classes), "deeper", n_met)
+            found.append(_leaves(down.where(F.col("n") <= LEAF), least, later=True))
+            level = down.where(F.col("n") > LEAF)
+        if not level.isEmpty():
+            found.append(_leaves(_blocks(level), least, later=True))
     later = found[0]
     for f in found[1:]:
         later = later.unionByName(f)
-    more = confirm(texts, later.where("kind = 0").select("x", "y").join(pairs, ["x", "y"], "left_anti"), k, threshold)
-    linked = components(good.unionByName(more))
+    later = materialize(later.where("kind = 0").select("x", "y").distinct().join(pairs, ["x", "y"], "left_anti"), "laterlinks", n_met)
+    new = joined
+    if not later.isEmpty():
+        more = confirm(texts, later, k, threshold)
+        new = more if new is None else new.unionByName(more)
+    linked = known if new is None else extend(known, new, n_links)
     return surveyed, firsts.select("fp", "rep"), linked
 
 
