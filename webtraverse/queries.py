@@ -725,10 +725,10 @@ def parse_ntriples(spark, sf_dir):
 
 
 
-_EV = "count(*)::bigint as n, sum(round(value, 2)::decimal(20,2)) as total"
+_EV = "count(*)::bigint as n, sum(round(value * 100)::bigint)::bigint as total"
 
 
-@register("events_tumbling", f"select time_bucket(interval 1 hour, ts) as w_start, time_bucket(interval 1 hour, ts) + interval 1 hour as w_end, event_type, {_EV.replace('sum(', 'sum(')} from events group by all")
+@register("events_tumbling", f"select time_bucket(interval 1 hour, ts) as w_start, time_bucket(interval 1 hour, ts) + interval 1 hour as w_end, event_type, {_EV} from events group by all")
 def events_tumbling(spark, sf_dir):
     return windows.tumbling(table(spark, sf_dir, "events"))
 

@@ -13,7 +13,7 @@ def _bounded(events: DataFrame, watermark: str | None) -> DataFrame:
 
 
 def _counted(events: DataFrame, window, *keys: str) -> DataFrame:
-    out = events.groupBy(window.alias("w"), *keys).agg(F.count("*").alias("n"), F.sum(F.round("value", 2).cast("decimal(20,2)")).alias("total"))
+    out = events.groupBy(window.alias("w"), *keys).agg(F.count("*").alias("n"), F.sum(F.round(F.col("value") * 100).cast("long")).alias("total"))
     return out.select(F.col("w.start").alias("w_start"), F.col("w.end").alias("w_end"), *keys, "n", "total")
 
 
