@@ -92,6 +92,31 @@ def grid(spark: SparkSession, sf_dir: str, queries=("q2",), webs=testweb.WEBS, a
     return run_cells(web, reached, plans)
 
 
+TRACE = "web_id string, query string, approach string, rank long, doc long, solutions long"
+
+
+def traces(web: DataFrame, reached: DataFrame, query: str, approaches) -> DataFrame:
+    """(web_id, query, approach, rank, doc, solutions): the order of lookups, and how many solutions exist after each."""
+    ship_package(web.sparkSession)
+    asked = web.sparkSession.createDataFrame([(a,) for a in approaches], "approach string")
+    held = reached.where(F.col("query") == query).join(web.select("web_id", "doc", "s", "p", "o"), ["web_id", "doc"], "left").join(F.broadcast(asked))
+
+    def follow(key, frame: pd.DataFrame) -> pd.DataFrame:
+        web_id, approach = key
+        documents: dict[int, list] = {int(d): [] for d in frame["doc"].unique()}
+        for d, s, p, o in frame[frame["s"].notna()][["doc", "s", "p", "o"]].astype("int64").itertuples(index=False):
+            documents[d].append((s, p, o))
+        for d in documents:
+            documents[d].sort()
+        got = cell(SubWeb(documents), WORKLOAD[query], (APPROACHES | LITERAL_HYBRIDS)[approach])
+        times = pd.Series([t for _, t, _ in got.solutions], dtype="int64").value_counts()
+        ranks = range(1, len(got.trace) + 1)
+        upto = times.reindex(ranks, fill_value=0).cumsum().tolist()
+        return pd.DataFrame({"web_id": web_id, "query": query, "approach": approach, "rank": list(ranks), "doc": got.trace, "solutions": upto})
+
+    return held.groupBy("web_id", "approach").applyInPandas(follow, TRACE)
+
+
 def routing_names(query: str, static: bool = True) -> tuple[str, ...]:
     """All policies and, for one query, all left-deep plans."""
     plans = ["static_" + "_".join(map(str, r.order)) for r in all_static(WORKLOAD[query])] if static else []

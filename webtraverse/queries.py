@@ -626,6 +626,34 @@ for _approach in (*APPROACHES, *LITERAL_HYBRIDS):
         return _cells(spark, sf_dir, "q2", (*APPROACHES, *LITERAL_HYBRIDS)).where(F.col("approach") == approach).select("approach", "n_docs", "n_solutions")
 
 
+for _approach in (*APPROACHES, *LITERAL_HYBRIDS):
+
+    @register(f"trace_{_approach}_q2")
+    def _trace(spark, sf_dir, approach=_approach):
+        """The exact order of lookups."""
+        got = _once(spark, ("traces", sf_dir), lambda: durable(_traces(spark, sf_dir), "traces"))
+        return got.where(F.col("approach") == approach).select("approach", "rank", "doc", "solutions")
+
+
+def _traces(spark, sf_dir):
+    web = web_of(spark, sf_dir)
+    reached = reached_by(spark, sf_dir, "q2").select(F.lit(CORPUS_LIKE.web_id).alias("web_id"), F.lit("q2").alias("query"), "doc")
+    return experiments.traces(web.triples, reached, "q2", (*APPROACHES, *LITERAL_HYBRIDS))
+
+
+@register("trace_docs_q2", f"{solved('q2')} select a as approach, doc from reached, (select unnest([" + ", ".join(f"'{a}'" for a in (*APPROACHES, *LITERAL_HYBRIDS)) + "]) as a)")
+def trace_docs_q2(spark, sf_dir):
+    """Every approach looks up the same documents."""
+    return _once(spark, ("traces", sf_dir), lambda: durable(_traces(spark, sf_dir), "traces")).select("approach", "doc")
+
+
+@register("retrieval_model_q4", f"{ctes('q4')}, n as (select count(*) as n from reached) select k::int as threads, n::bigint as n_docs, ((n + k - 1) // k)::bigint as lookup_rounds from n, (select unnest([1, 2, 5, 10, 20]) as k)")
+def retrieval_model_q4(spark, sf_dir):
+    """Rounds of lookups by the number of threads: times the latency of one, the time that retrieval takes."""
+    n = reached_by(spark, sf_dir, "q4").agg(F.count("*").alias("n_docs"))
+    return n.select(F.explode(F.array(*map(F.lit, (1, 2, 5, 10, 20)))).alias("threads"), "n_docs").withColumn("lookup_rounds", F.expr("(n_docs + threads - 1) div threads"))
+
+
 @register("rt_pivot")
 def rt_pivot(spark, sf_dir):
     """Approaches by measure on the corpus-like web."""
