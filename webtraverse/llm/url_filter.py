@@ -86,7 +86,7 @@ def host_links(judged: DataFrame) -> DataFrame:
     )
 
 
-def propagate(links: DataFrame, seeds: DataFrame, damping: float = DAMPING, rounds: int = ROUNDS, tolerance: float = 1e-12) -> DataFrame:
+def propagate(links: DataFrame, seeds: DataFrame, damping: float = DAMPING, rounds: int = ROUNDS, tolerance: float = 0.0) -> DataFrame:
     """(kind, host, mass): personalised PageRank of each kind of ``seeds`` (kind, host, seed) over ``links`` (kind, src, dst, n)."""
     total = seeds.groupBy("kind").agg(F.sum("seed").alias("all_seed"))
     start = seeds.join(F.broadcast(total), "kind").select("kind", "host", (F.col("seed") / F.col("all_seed")).alias("seed"))
@@ -100,11 +100,11 @@ def propagate(links: DataFrame, seeds: DataFrame, damping: float = DAMPING, roun
     for _ in range(rounds):
         moved = mass.join(step, (mass["kind"] == step["kind"]) & (mass["host"] == step["src"])).select(step["kind"], step["dst"].alias("host"), (mass["mass"] * step["w"] * damping).alias("mass"))
         after = materialize(base.unionByName(moved).groupBy("kind", "host").agg(F.sum("mass").alias("mass")), "mass")
-        grown = after.agg(F.sum("mass")).first()[0] or 0.0
-        old = mass.agg(F.sum("mass")).first()[0] or 0.0
+        old = mass.select("kind", "host", F.col("mass").alias("old"))
+        change = after.join(old, ["kind", "host"], "full").agg(F.max(F.abs(F.coalesce("mass", F.lit(0.0)) - F.coalesce("old", F.lit(0.0))))).first()[0] or 0.0
         discard(before)
         mass = before = after
-        if abs(grown - old) <= tolerance:
+        if change <= tolerance:
             break
     return mass
 
