@@ -10,6 +10,7 @@ from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.terms import URI
@@ -114,7 +115,8 @@ def ranked(df: DataFrame, *order: str) -> DataFrame:
     sorted_ = durable(df.orderBy(*order).withColumn("_at", F.monotonically_increasing_id()), "sorted")
     part = F.shiftright("_at", 33).alias("part")
     sizes = sorted_.groupBy(part).agg(F.count("*").alias("n"))
-    sums = sizes.alias("a").join(sizes.alias("b"), F.col("b.part") < F.col("a.part"), "left").groupBy(F.col("a.part").alias("part")).agg(F.coalesce(F.sum("b.n"), F.lit(0)).alias("before"))
+    earlier = W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)  # one row for each partition of the sort
+    sums = sizes.select("part", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("before"))
     return sorted_.withColumn("part", F.shiftright("_at", 33)).join(F.broadcast(sums), "part").withColumn("rank", F.col("before") + F.col("_at").bitwiseAND(F.lit((1 << 33) - 1)) + 1).drop("_at", "part", "before")
 
 
