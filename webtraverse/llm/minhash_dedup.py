@@ -167,7 +167,13 @@ def _in_leaf(reps: np.ndarray, s: np.ndarray, comps: np.ndarray | None, least: i
 
 
 def _leaves(rows: DataFrame, least: int, later: bool) -> DataFrame:
-    """(kind, x, y): links of small nodes (kind 0), and nodes with further candidate pairs (kind 2); ``rows`` are (node, rep, s1, s2[, comp])."""
+    """(kind, x, y): links of small nodes (kind 0), and nodes with further candidate pairs (kind 2); ``rows`` are (node, rep, s1, s2[, comp]).
+
+    Later pairs come from the first node alone that both ends share, not from every tree that they meet in.
+    """
+    if later:
+        shared = rows.groupBy("rep").agg(F.array_sort(F.collect_set("node")).alias("shared"))
+        rows = rows.join(shared, "rep")
 
     def work(batches):
         for t in runs(batches, "node"):
@@ -178,12 +184,18 @@ def _leaves(rows: DataFrame, least: int, later: bool) -> DataFrame:
             links, more = _in_leaf(reps, s, t["comp"].to_numpy()[at] if later else None, least)
             if not links:
                 continue
+            if later:
+                place, node = dict(zip(reps.tolist(), at.tolist())), t["node"][0].as_py()
+                nodes = {r: set(t["shared"][place[r]].as_py()) for r in {r for link in links for r in link}}
+                links = [(x, y) for x, y in links if min(nodes[x] & nodes[y]) == node]
+                if not links:
+                    continue
             kind, x, y = [0] * len(links), [a for a, _ in links], [b for _, b in links]
             if more:
                 kind, x, y = kind + [2], x + [t["node"][0].as_py()], y + [0]
             yield pa.record_batch([pa.array(kind, pa.int32()), pa.array(x, pa.int64()), pa.array(y, pa.int64())], ["kind", "x", "y"])
 
-    cols = ["node", "rep", "s1", "s2"] + ["comp"] * later
+    cols = ["node", "rep", "s1", "s2"] + ["comp", "shared"] * later
     return map_arrow(rows.select(cols).repartition("node").sortWithinPartitions("node"), work, "kind int, x long, y long")
 
 
