@@ -119,13 +119,13 @@ def survey(docs: DataFrame, width: int = WIDTH, gram: int = GRAM) -> DataFrame:
     return map_arrow(_keyed(docs), work, "doc_id long, key binary, n_words long, sha string, anchors array<long>")
 
 
-def _candidates(docs: DataFrame, surveyed: DataFrame) -> DataFrame:
+def _candidates(docs: DataFrame, surveyed: DataFrame, n_rows: int) -> DataFrame:
     """doc_id, key, text and recurring anchors (a, first, n) of the documents that have any; one of each class of equal texts."""
     first = surveyed.where("n_words > 0 and doc_id is not null and size(anchors) > 0").groupBy("key").agg(F.min("doc_id").alias("doc_id"), F.any_value("anchors").alias("anchors"))
-    standing = materialize(first.select("doc_id", "key", F.explode("anchors").alias("a")), "anchors")
+    standing = materialize(first.select("doc_id", "key", F.explode("anchors").alias("a")), "anchors", 8 * n_rows)
     counted = standing.groupBy("a").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last"), F.count("*").alias("n")).where("first < last").drop("last")
     mine = standing.join(counted, "a").groupBy("doc_id", "key").agg(F.collect_list(F.struct("a", "first", "n")).alias("recurring"))
-    return materialize(_keyed(docs).join(mine, ["doc_id", "key"]).withColumn("k", F.xxhash64("key")), "candidates")
+    return materialize(_keyed(docs).join(mine, ["doc_id", "key"]).withColumn("k", F.xxhash64("key")), "candidates", 2 * n_rows)
 
 
 def _runs(mask_or_value: np.ndarray, keep: np.ndarray) -> list[tuple[int, int]]:
@@ -255,14 +255,20 @@ class PassageAutomaton:
                 reached[which, begin - off] = k
                 if k - i >= self.width:
                     spans.append((i, k))
-        return spans
+        merged: list[tuple[int, int]] = []
+        for i, k in sorted(spans):
+            if merged and i <= merged[-1][1]:
+                merged[-1] = (merged[-1][0], max(k, merged[-1][1]))
+            else:
+                merged.append((i, k))
+        return merged
 
 
 def _located(sources: DataFrame, targets: DataFrame, width: int) -> DataFrame:
     """(doc_id, k, start, stop): spans of documents that passages of earlier documents cover."""
     spark = sources.sparkSession
     n_words = sources.agg(F.sum(F.octet_length("content"))).first()[0] or 0
-    shards = max(2 * partitions_for(spark), int(n_words // (6 * SHARD_WORDS)) + 1)
+    shards = max(partitions_for(spark), int(n_words // (6 * SHARD_WORDS)) + 1)
     shard = F.pmod(F.xxhash64("a"), F.lit(shards))
     per = F.lit(PIECES_AT_A_SHARD)
     # An anchor with many pieces gets copies of its passages: one for each part that its pieces are dealt to.
@@ -319,8 +325,9 @@ def _kept(candidates: DataFrame, spans: DataFrame) -> DataFrame:
 def removal_plan(docs: DataFrame, width: int = WIDTH, gram: int = GRAM) -> tuple[DataFrame, DataFrame, DataFrame]:
     """The survey of all rows; the smallest id of each text; the documents that lose words to passages."""
     surveyed = materialize(survey(docs, width, gram), "survey")
-    candidates = _candidates(docs, surveyed)
-    sources = materialize(_source_pieces(candidates, _confirmed(candidates, width, gram), width), "passages")
+    n_rows = surveyed.count()
+    candidates = _candidates(docs, surveyed, n_rows)
+    sources = materialize(_source_pieces(candidates, _confirmed(candidates, width, gram), width), "passages", 2 * n_rows)
     spans = _located(sources, _target_pieces(candidates, width, gram), width)
     cut = _kept(candidates, spans)
     first = surveyed.where("doc_id is not null").groupBy("key").agg(F.min("doc_id").alias("first_id"))
