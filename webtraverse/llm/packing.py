@@ -32,7 +32,7 @@ END_ID = 1
 STEP_TOKENS = 16_384
 MIN_PIECE = 8
 BLOCK_TOKENS = 1_500_000
-CACHE_ENTRIES = 1_000_000
+CACHE_ENTRIES = 700_000
 MARKS = b"!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 TEXTS_AT_ONCE = 256
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, sequence_length int, step_group long"
@@ -250,6 +250,7 @@ def pack_documents(docs: DataFrame, vocabulary: str | None = None, tiers=TIERS,
                     packer.pack()
                     yield flush()
         packer.close()
+        tok.cache.old = {}  # an idle worker keeps half at most
         yield flush()
 
     return map_arrow(docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text")), work, schema)
