@@ -33,7 +33,7 @@ from .vectors import by_group, grouped_stream
 
 TREES, START_DEPTH, STRIDE, DEEPEST = 9, 4, 3, 13
 LEAF = 256
-PIVOTS, STAR_PART, MEMBER_CHUNK = 16, 5_000, 512
+PIVOTS, STAR_PART, MEMBER_CHUNK, ASKED_PART = 16, 5_000, 512, 128
 FUNCTIONS = 128
 AT_ONCE = 256
 M31, M27 = np.uint64(0x7FB5D329728EA185), np.uint64(0x81DADEF4BC2DD44D)
@@ -258,10 +258,12 @@ def _to_main(outside: DataFrame, known: DataFrame, sketches: DataFrame, texts: D
     mains = asked.select("main").distinct()
     members = known.select(F.col("vertex").alias("rep"), F.col("component").alias("main")).unionByName(mains.select(F.col("main").alias("rep"), "main")).distinct().join(mains, "main", "left_semi")
     chunks = members.groupBy("main").agg(F.ceil(F.count("*") / MEMBER_CHUNK).cast("int").alias("chunks"))
+    parts = asked.groupBy("main").agg(F.ceil(F.count("*") / ASKED_PART).cast("int").alias("parts"))
+    chunks = chunks.join(parts, "main")
     full = sketches.join(texts.dropDuplicates(["id"]).select(F.col("id").alias("rep"), "text"), "rep")
-    key = F.xxhash64("main", "chunk").alias("key")
-    data = members.join(chunks, "main").withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int")).join(full, "rep")
-    posed = asked.join(chunks, "main").join(full, "rep").withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    key = F.xxhash64("main", "chunk", "part").alias("key")
+    data = members.join(chunks, "main").withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int")).join(full, "rep").withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    posed = asked.join(chunks, "main").join(full, "rep").withColumn("part", F.pmod(F.xxhash64("rep", F.lit(5)), F.col("parts")).cast("int")).withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
     both = data.select(key, F.lit(0).alias("role"), "rep", "s1", "s2", "text").unionByName(posed.select(key, F.lit(1).alias("role"), "rep", "s1", "s2", "text"))
 
     def work(batches):
