@@ -115,6 +115,19 @@ def test_distrust_flows_back_and_trust_flows_on(spark):
     assert all(abs(mass[h] - x[h]) < 1e-6 for h in x)
 
 
+def test_mass_reaches_hosts_beyond_ten_links(spark):
+    hosts = [f"h{i}.org" for i in range(14)] + ["bad.net"]
+    pages = [(i, f"http://{h}/es/1", f'<a href="https://{hosts[i + 1]}/x">' if i + 1 < len(hosts) else "") for i, h in enumerate(hosts)]
+    got = {r["page_id"]: r["verdict"] for r in url_filter.judge(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()}
+    assert got == {i: "block" for i in range(15)}
+
+
+def test_mass_in_a_cycle_is_spread_whole(spark):
+    links = spark.createDataFrame([("t", "a", "b", 1), ("t", "b", "a", 1)], "kind string, src string, dst string, n long")
+    mass = {r["host"]: r["mass"] for r in url_filter.propagate(links, spark.createDataFrame([("t", "a", 1.0)], "kind string, host string, seed double")).collect()}
+    assert abs(mass["a"] - 0.15 / (1 - 0.85**2)) < 1e-8 and abs(mass["a"] + mass["b"] - 1) < 1e-8
+
+
 def test_native_operators_plan_no_python(spark, small):
     for name in ("op3_link_graph_url_filter", "op10_license_scan"):
         plan = queries.QUERIES[name](spark, small)._jdf.queryExecution().executedPlan().toString()

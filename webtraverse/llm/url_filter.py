@@ -7,7 +7,9 @@ host is blocked when its distrust is above ``ratio`` times its trust, and a page
 
 Rules are literals of the caller and become one expression, so judging by rule needs no join. Link counts and seeds are added
 up before they are shuffled; page bodies are read once for links and never shuffled. Each round is one join and one
-aggregation over the host graph, kept as a table in the shared folder, which cuts the lineage; rounds end early once nothing moves.
+aggregation over the host graph, kept as a table in the shared folder, which cuts the lineage. Rounds go on until no host was newly
+reached and no mass changed by more than ``tolerance`` of itself, so hosts at any distance from a seed are judged. The SQL twin
+writes out ``ROUNDS`` rounds and is equal only where these are enough, as on tables whose links stay inside their hosts.
 
 Behaviour at the edges: a null url, or one without ``://``, has an empty host and path, fits no rule and is allowed; null html
 has no links; page ids may repeat or be null, each row is judged; links of pages without host are ignored; an
@@ -17,6 +19,7 @@ empty table gives no rows; other columns are ignored.
 from __future__ import annotations
 
 from dataclasses import dataclass
+from itertools import count
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -25,7 +28,8 @@ from .common import discard, materialize
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 LINK = r"""(?i)href\s*=\s*["']?(https?:)?//([^/?#"'\s>]+)"""
-DAMPING, ROUNDS, RATIO = 0.85, 10, 1.0
+DAMPING, ROUNDS, RATIO = 0.85, 10, 1.0  # ROUNDS is that of the SQL twin alone
+TOLERANCE = 1e-9
 
 
 @dataclass(frozen=True)
@@ -86,8 +90,11 @@ def host_links(judged: DataFrame) -> DataFrame:
     )
 
 
-def propagate(links: DataFrame, seeds: DataFrame, damping: float = DAMPING, rounds: int = ROUNDS, tolerance: float = 0.0) -> DataFrame:
-    """(kind, host, mass): personalised PageRank of each kind of ``seeds`` (kind, host, seed) over ``links`` (kind, src, dst, n)."""
+def propagate(links: DataFrame, seeds: DataFrame, damping: float = DAMPING, rounds: int | None = None, tolerance: float = TOLERANCE) -> DataFrame:
+    """(kind, host, mass): personalised PageRank of each kind of ``seeds`` (kind, host, seed) over ``links`` (kind, src, dst, n).
+
+    Every change is measured against the host's own mass, as far hosts have little. ``rounds`` is a cap for callers that want one.
+    """
     total = seeds.groupBy("kind").agg(F.sum("seed").alias("all_seed"))
     start = seeds.join(F.broadcast(total), "kind").select("kind", "host", (F.col("seed") / F.col("all_seed")).alias("seed"))
     out = links.groupBy("kind", "src").agg(F.sum("n").alias("out_n"))
@@ -97,11 +104,11 @@ def propagate(links: DataFrame, seeds: DataFrame, damping: float = DAMPING, roun
     mass, before = base, None
     if step.isEmpty():
         return base
-    for _ in range(rounds):
+    for _ in count() if rounds is None else range(rounds):
         moved = mass.join(step, (mass["kind"] == step["kind"]) & (mass["host"] == step["src"])).select(step["kind"], step["dst"].alias("host"), (mass["mass"] * step["w"] * damping).alias("mass"))
         after = materialize(base.unionByName(moved).groupBy("kind", "host").agg(F.sum("mass").alias("mass")), "mass")
         old = mass.select("kind", "host", F.col("mass").alias("old"))
-        change = after.join(old, ["kind", "host"], "full").agg(F.max(F.abs(F.coalesce("mass", F.lit(0.0)) - F.coalesce("old", F.lit(0.0))))).first()[0] or 0.0
+        change = after.join(old, ["kind", "host"], "left").agg(F.max(F.when(F.col("mass") > 0, F.abs(F.col("mass") - F.coalesce("old", F.lit(0.0))) / F.col("mass")).otherwise(0.0))).first()[0] or 0.0
         discard(before)
         mass = before = after
         if change <= tolerance:
@@ -109,7 +116,7 @@ def propagate(links: DataFrame, seeds: DataFrame, damping: float = DAMPING, roun
     return mass
 
 
-def judge(pages: DataFrame, rules=DEFAULT_RULES, damping: float = DAMPING, rounds: int = ROUNDS, ratio: float = RATIO) -> DataFrame:
+def judge(pages: DataFrame, rules=DEFAULT_RULES, damping: float = DAMPING, rounds: int | None = None, ratio: float = RATIO) -> DataFrame:
     """page_id, host, path, rule, verdict, and the host's trust and distrust."""
     judged = parts(pages)
     rule, verdict = rule_columns(F.col("host"), F.col("path"), rules)
