@@ -37,6 +37,12 @@ def test_worked_example(name, order, times, routed):
     assert response_times(run) == {"relRT1st": times[0] / 9, "relRT50": times[1] / 9, "relRTCmpl": times[2] / 9}
 
 
+def test_registered_pagerank_ranks_after_every_lookup():
+    web = web_of(random.Random(3), links=220)
+    every, sparse, own = (cell(web, CHAIN, a).trace for a in (LinkGraph("pagerank", refresh=1), LinkGraph("pagerank", refresh=25), APPROACHES["pagerank"]))
+    assert own == every != sparse
+
+
 def web_of(rng, n=40, links=110):
     docs = {i: [] for i in range(1, n + 1)}
     for _ in range(links):

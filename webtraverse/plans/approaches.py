@@ -96,7 +96,7 @@ APPROACHES: dict[str, Approach] = {
         Arrival("depth_first", step=1),
         Arrival("breadth_first", step=-1),
         Oracle(),
-        LinkGraph("pagerank", refresh=25),
+        LinkGraph("pagerank"),
         LinkGraph("indegree"),
         Partial("partial"),
         Partial("partial_decay", inherit=True),
