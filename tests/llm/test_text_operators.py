@@ -199,6 +199,18 @@ def test_large_group_of_near_copies(spark):
     assert minhash_dedup.near_duplicates(frame(spark, rows).limit(0)).count() == 0
 
 
+def test_pairs_at_the_threshold_in_large_nodes_of_outsiders(spark):
+    template = " ".join(f"t{i}" for i in range(100))
+    rows = []
+    for p in range(800):  # 134 of 166 words are common in a pair, 100 of 200 elsewhere
+        for side in "ab":
+            own = [f"p{p}_{i}" for i in range(34)] + [f"p{p}{side}{i}" for i in range(16)]
+            rows.append((len(rows), f"{template} {' '.join(own)}"))
+    got = {r["doc_id"]: r["component_id"] for r in minhash_dedup.near_duplicates(frame(spark, rows), 1).collect()}
+    assert all(c in (d, d - d % 2) for d, c in got.items())
+    assert sum(got[2 * p + 1] == 2 * p for p in range(800)) >= 799
+
+
 def test_quality_on_held_out_labels(spark):
     sf = "/root/testdata/sf0.01"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")

@@ -4,14 +4,14 @@ Each document is the set of its distinct shingles of ``k`` words. Documents of e
 several independent trees a class walks down paths: a node picks a minwise hash function, the token it selects in the set leads to the
 child; a quarter of the nodes pick two, so that a pair at the threshold shares about one path in expectation at any depth. Nodes with few classes are
 compared exhaustively by bit sketches, larger ones are branched on. The trees repeat until pairs at the threshold are met with the
-target recall: at 0.8 and the starting depth, one tree meets 58 % of them, nine trees 99.96 %. Nodes that are large at one depth are
-split again some levels further down.
+target recall: at 0.8 and the starting depth, one tree meets 58 % of them, nine trees 99.96 %. No node is split further
+down, as a pair would have to stay together on more levels than the trees are enough for.
 
 Pairs that pass the sketches are confirmed on the full sets. That is done in two rounds, so that groups of copies don't
 give all their pairs. First come a spanning forest of each small node and the stars of a few pivots of each large one. What this
 connects needs no further look. Then every remaining pair of a small node is tried across components. In a large node, the
 component that most of its classes belong to is compared with each class outside it, block by block and up to the first link; the
-outsiders alone go on down the tree. Nodes that stay large at the deepest level are compared block against block.
+outsiders among themselves, however many, are compared block against block.
 
 Behaviour at the edges: null text and texts without words have no set, are linked with nothing and kept; a text of fewer than ``k`` words is one
 shingle; rows of one id are one document; a null id has no component and is kept; very long texts are hashed in slices; an empty table
@@ -31,7 +31,7 @@ from .common import map_arrow, materialize, runs, text_column
 from .components import components, extend
 from .vectors import by_group, grouped_stream
 
-TREES, START_DEPTH, STRIDE, DEEPEST = 9, 4, 3, 13
+TREES, START_DEPTH = 9, 4
 LEAF = 256
 PIVOTS, STAR_PART, MEMBER_CHUNK, ASKED_PART = 16, 5_000, 512, 128
 FUNCTIONS = 128
@@ -113,7 +113,7 @@ def start_nodes(signatures: np.ndarray, trees: int = TREES, depth: int = START_D
 
 
 def survey(docs: DataFrame, k: int, trees: int = TREES) -> DataFrame:
-    """doc_id, n_shingles, fp (of the set), sig, s1, s2 and start nodes of each row."""
+    """doc_id, n_shingles, fp (of the set), s1, s2 and start nodes of each row."""
 
     def work(batches):
         for batch in batches:
@@ -126,12 +126,12 @@ def survey(docs: DataFrame, k: int, trees: int = TREES) -> DataFrame:
                 nodes = [x if m else x[:0] for x, m in zip(start_nodes(sig, trees), n)]
                 fp = [xxhash.xxh3_128_digest(s.tobytes()) for s in sets]
                 yield pa.record_batch(
-                    [part.column(0), pa.array(n), pa.array(fp, pa.binary()), pa.array([s.tobytes() for s in sig], pa.binary()), pa.array(bits[:, 0].copy()), pa.array(bits[:, 1].copy()), pa.array(nodes, pa.list_(pa.int64()))],
-                    ["doc_id", "n_shingles", "fp", "sig", "s1", "s2", "nodes"],
+                    [part.column(0), pa.array(n), pa.array(fp, pa.binary()), pa.array(bits[:, 0].copy()), pa.array(bits[:, 1].copy()), pa.array(nodes, pa.list_(pa.int64()))],
+                    ["doc_id", "n_shingles", "fp", "s1", "s2", "nodes"],
                 )
 
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text"))
-    return map_arrow(rows, work, "doc_id long, n_shingles long, fp binary, sig binary, s1 long, s2 long, nodes array<long>")
+    return map_arrow(rows, work, "doc_id long, n_shingles long, fp binary, s1 long, s2 long, nodes array<long>")
 
 
 def least_matches(threshold: float) -> int:
@@ -166,12 +166,14 @@ def _in_leaf(reps: np.ndarray, s: np.ndarray, comps: np.ndarray | None, least: i
     return links, len(links) < len(i)
 
 
-def _leaves(rows: DataFrame, least: int, later: bool) -> DataFrame:
+def _leaves(rows: DataFrame, least: int, later: bool, once: bool = True) -> DataFrame:
     """(kind, x, y): links of small nodes (kind 0), and nodes with further candidate pairs (kind 2); ``rows`` are (node, rep, s1, s2[, comp]).
 
-    Later pairs come from the first node alone that both ends share, not from every tree that they meet in.
+    Later pairs come from the first node alone that both ends share, not from every tree that they meet in; not
+    so without ``once``, for rows of so many nodes that each would carry a long list.
     """
-    if later:
+    once = once and later
+    if once:
         shared = rows.groupBy("rep").agg(F.array_sort(F.collect_set("node")).alias("shared"))
         rows = rows.join(shared, "rep")
 
@@ -184,7 +186,7 @@ def _leaves(rows: DataFrame, least: int, later: bool) -> DataFrame:
             links, more = _in_leaf(reps, s, t["comp"].to_numpy()[at] if later else None, least)
             if not links:
                 continue
-            if later:
+            if once:
                 place, node = dict(zip(reps.tolist(), at.tolist())), t["node"][0].as_py()
                 nodes = {r: set(t["shared"][place[r]].as_py()) for r in {r for link in links for r in link}}
                 links = [(x, y) for x, y in links if min(nodes[x] & nodes[y]) == node]
@@ -195,7 +197,7 @@ def _leaves(rows: DataFrame, least: int, later: bool) -> DataFrame:
                 kind, x, y = kind + [2], x + [t["node"][0].as_py()], y + [0]
             yield pa.record_batch([pa.array(kind, pa.int32()), pa.array(x, pa.int64()), pa.array(y, pa.int64())], ["kind", "x", "y"])
 
-    cols = ["node", "rep", "s1", "s2"] + ["comp", "shared"] * later
+    cols = ["node", "rep", "s1", "s2"] + ["comp"] * later + ["shared"] * once
     return map_arrow(rows.select(cols).repartition("node").sortWithinPartitions("node"), work, "kind int, x long, y long")
 
 
@@ -336,25 +338,6 @@ def _across(rows: DataFrame) -> DataFrame:
     return rows.join(mixed, "node", "left_semi")
 
 
-def _deeper(rows: DataFrame, classes: DataFrame) -> DataFrame:
-    """(node, rep, s1, s2, comp, n) some levels further down."""
-
-    def work(batches):
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            sig = np.frombuffer(b"".join(batch.column(5).to_pylist()), dtype=np.uint32).reshape(-1, FUNCTIONS)
-            row, node = np.arange(batch.num_rows), batch.column(0).to_numpy().view(np.uint64)
-            for _ in range(STRIDE):
-                a, b = _descend(node, sig[row])
-                row, node = np.concatenate([row, row[b != 0]]), np.concatenate([a, b[b != 0]])
-            rest = [batch.column(i).take(pa.array(row)) for i in (1, 2, 3, 4)]
-            yield pa.record_batch([pa.array(node.view(np.int64)), *rest], ["node", "rep", "s1", "s2", "comp"])
-
-    with_sig = rows.select("node", "rep", "s1", "s2", "comp").join(classes.select("rep", "sig"), "rep").select("node", "rep", "s1", "s2", "comp", "sig")
-    return _across(_counted(map_arrow(with_sig, work, "node long, rep long, s1 long, s2 long, comp long").distinct()))
-
-
 def _blocks(rows: DataFrame) -> DataFrame:
     """Every two blocks of a node as a node of their own."""
     n_blocks = F.ceil(F.col("n") / (LEAF // 2)).cast("int")
@@ -367,7 +350,7 @@ def classes_of(docs: DataFrame, k: int, threshold: float = 0.8, trees: int = TRE
     surveyed = materialize(survey(docs, k, trees), "sets")
     n_rows, least = surveyed.count(), least_matches(threshold)
     some = surveyed.where("n_shingles > 0 and doc_id is not null")
-    classes = some.groupBy("fp").agg(F.min("doc_id").alias("rep"), *(F.any_value(c).alias(c) for c in ("s1", "s2", "sig")))
+    classes = some.groupBy("fp").agg(F.min("doc_id").alias("rep"), *(F.any_value(c).alias(c) for c in ("s1", "s2")))
     firsts = some.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.any_value("nodes").alias("nodes"))
     met = materialize(_counted(firsts.select("rep", F.explode("nodes").alias("node")).distinct()), "nodes", 4 * n_rows)
     n_met = met.count()
@@ -393,14 +376,7 @@ def classes_of(docs: DataFrame, k: int, threshold: float = 0.8, trees: int = TRE
         joined = _to_main(outside, known, sketches, texts, k, threshold, least)
         left = materialize(_across(_counted(outside.select("node", "rep", "s1", "s2", "comp"))), "left", n_met)
         found.append(_leaves(left.where(F.col("n") <= LEAF), least, later=True))
-        level, depth = left.where(F.col("n") > LEAF), START_DEPTH
-        while not level.isEmpty() and depth < DEEPEST:
-            depth += STRIDE
-            down = materialize(_deeper(level, classes), "deeper", n_met)
-            found.append(_leaves(down.where(F.col("n") <= LEAF), least, later=True))
-            level = down.where(F.col("n") > LEAF)
-        if not level.isEmpty():
-            found.append(_leaves(_blocks(level), least, later=True))
+        found.append(_leaves(_blocks(left.where(F.col("n") > LEAF)), least, later=True, once=False))
     later = found[0]
     for f in found[1:]:
         later = later.unionByName(f)
