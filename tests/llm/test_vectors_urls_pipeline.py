@@ -58,26 +58,72 @@ def test_region_bounds_never_exceed_true_distances():
         assert (bound[i][near] <= d + 1e-9).all()
 
 
-def test_forest_recall_and_order(spark, cloud):
-    sf = "/root/testdata/sf0.1"
-    emb = spark.read.parquet(f"{sf}/embeddings.parquet")
-    table = emb.select("vec_id", "embedding").toPandas()
-    ids, x = table.vec_id.to_numpy(), np.array(table.embedding.tolist(), dtype=np.float64)
-    got = hash_forest.nearest(emb, F.col("vec_id") % 100 == 0, block=700).toPandas()
+def recall_of(got, ids, x, k=10):
     hit = 0
-    for q in np.flatnonzero(ids % 100 == 0):
+    queries = np.flatnonzero(ids % 100 == 0)
+    for q in queries:
         d = np.sqrt(((x - x[q]) ** 2).sum(1))
         d[q] = np.inf
-        best = set(ids[np.lexsort((ids, d))[:10]])
+        best = set(ids[np.lexsort((ids, d))[:k]])
         own = got[got.query_id == ids[q]].sort_values("rank")
-        assert own["rank"].tolist() == list(range(1, 11)) and (np.diff(own.score) >= 0).all()
+        assert own["rank"].tolist() == list(range(1, k + 1)) and (np.diff(own.score) >= 0).all()
+        assert np.abs(own.score.to_numpy() - np.sqrt(((x[np.searchsorted(ids, own.vec_id)] - x[q]) ** 2).sum(1))).max() == 0
         hit += len(best & set(own.vec_id))
-    assert hit >= 0.9 * len(got)
+    return hit / k / len(queries)
+
+
+def test_forest_recall_and_order(spark, cloud):
+    sf = "/root/testdata/sf0.1"
+    emb = spark.read.parquet(f"{sf}/embeddings.parquet")
+    table = emb.select("vec_id", "embedding").toPandas().sort_values("vec_id")
+    ids, x = table.vec_id.to_numpy(), np.array(table.embedding.tolist(), dtype=np.float64)
+    assert recall_of(hash_forest.nearest(emb, F.col("vec_id") % 100 == 0, block=700).toPandas(), ids, x) >= 0.9
     few = hash_forest.nearest(vectors(spark, [(0, [1.0, 0.0], 1), (100, [1.0, 0.1], 1), (3, [1.0, 0.1], 1), (4, None, 1), (5, [1.0], 2)]), F.col("vec_id") % 100 == 0).collect()
     assert [(r["query_id"], r["rank"], r["vec_id"]) for r in sorted(few)] == [(0, 1, 3), (0, 2, 100), (100, 1, 3), (100, 2, 0)]
     assert hash_forest.nearest(vectors(spark, cloud).limit(0), F.col("vec_id") % 100 == 0).count() == 0
 
 
+def clustered(n=3_000, clusters=100):
+    rng = np.random.default_rng(4)
+    return (rng.standard_normal((clusters, 64))[rng.integers(0, clusters, n)] + 0.3 * rng.standard_normal((n, 64))).astype(np.float32).astype(np.float64)
+
+
+def test_forest_of_clusters_meets_few_rows(spark):
+    x, ids = clustered(), np.arange(3_000)
+    got = hash_forest.nearest(vectors(spark, [(int(i), v.tolist(), 1) for i, v in zip(ids, x)]), F.col("vec_id") % 100 == 0).toPandas()
+    assert recall_of(got, ids, x) >= 0.9
+    forest = hash_forest.Forest(ids, x, 10)
+    assert forest.met(x[::50]) < 0.1
+
+
+def test_forest_descends_to_the_longest_prefix_and_ascends_in_step():
+    x = clustered(400, 20)
+    forest = hash_forest.Forest(np.arange(400), x, 5, trees=6, bits=12)
+    asked = forest.strings(x[:40] + 0.2)
+    own = forest.strings(forest.x)
+    shared = 12 - hash_forest.bit_length(own[:, None, :] ^ asked[None, :, :])  # entries, queries, trees
+    assert (forest.descend(asked) == shared.max(axis=0)).all()
+    lengths = set()
+    for q, level, met in forest.ascend(asked, 15):
+        at = lambda n: np.flatnonzero((shared[:, q, :] >= n).any(axis=1))  # noqa: E731, B023
+        assert met.tolist() == at(level).tolist() and len(met) >= 15 and len(at(level + 1)) < 15
+        lengths.add(level)
+    assert len(lengths) > 1  # of variable length
+
+
+def test_forest_with_repeated_rows_and_ids(spark):
+    rng = np.random.default_rng(2)
+    base = rng.standard_normal((30, 8)).astype(np.float32).tolist()
+    rows = [(i, base[0], 1) for i in range(300)] + [(300, base[1], 1)] * 20 + [(400 + i, v, 1) for i, v in enumerate(base)] + [(None, base[2], 1), (None, base[2], 1)]
+    got = hash_forest.nearest(vectors(spark, rows), F.col("vec_id") % 100 == 0, k=5).collect()
+    by = {}
+    for r in sorted(got):
+        by.setdefault(r["query_id"], []).append((r["vec_id"], r["score"]))
+    assert [v for v, _ in by[0]] == [1, 2, 3, 4, 5] and [v for v, _ in by[100]] == [0, 1, 2, 3, 4] and all(s == 0 for _, s in by[0])
+    assert by[300][0] == (401, 0.0) and len(by[300]) == 5 and len({v for v, _ in by[300]}) == 5
+    assert set(by) == {0, 100, 200, 300, 400}
+
+
 def test_components(spark):
     links = [(1, 2), (2, 3), (3, 1), (9, 8), (8, 7), (7, 6), (5, 5), (None, 1), (20, 21), (21, 22), (22, 23), (23, 24), (24, 20)] + [(100, 101 + i) for i in range(50)]
     got = {r["vertex"]: r["component"] for r in components.components(spark.createDataFrame(links, "u long, v long")).collect()}
