@@ -51,13 +51,73 @@ def test_embedding_groups(spark, cloud):
 
 def test_region_bounds_never_exceed_true_distances():
     rng = np.random.default_rng(1)
-    c, x = rng.standard_normal((7, 5)), rng.standard_normal((200, 5))
+    c, x = rng.standard_normal((17, 5)), rng.standard_normal((200, 5))
+    c[3] = c[2]
     near, bound = embedding_dedup.region_bounds(x, c)
     for i in range(200):
         d = ((x - x[i]) ** 2).sum(1)
         assert (bound[i][near] <= d + 1e-9).all()
 
 
+def test_multi_sequence_visits_cells_in_order_and_all_within_reach():
+    rng = np.random.default_rng(3)
+    for _ in range(60):
+        a, b = (np.round(rng.random(rng.integers(1, 9)), 1) for _ in "ab")
+        got = list(embedding_dedup.multi_sequence(a, b, 0.9))
+        assert {(i, j) for i, j, _ in got} == {(i, j) for i in range(len(a)) for j in range(len(b)) if a[i] + b[j] <= 0.9} and len(got) == len({g[:2] for g in got})
+        sums = [s for _, _, s in got]
+        assert sums == sorted(sums) and all(s == a[i] + b[j] for i, j, s in got)
+
+
+def planted_links():
+    """Vectors near few centres in each half, with pairs just above and just below the threshold, of which many lie in different cells."""
+    rng = np.random.default_rng(6)
+    halves = rng.standard_normal((2, 10, 8))
+    rows = []
+    for i in range(500):
+        v = np.concatenate([halves[h][rng.integers(10)] + 0.9 * rng.standard_normal(8) for h in (0, 1)])
+        v /= np.linalg.norm(v)
+        for cosine in (None, 0.9801, 0.9799, 0.99)[: rng.integers(1, 5)]:
+            w = rng.standard_normal(16)
+            w -= (w @ v) * v
+            u = v if cosine is None else cosine * v + (1 - cosine**2) ** 0.5 * w / np.linalg.norm(w)
+            rows.append((len(rows), (u * rng.uniform(0.5, 2)).tolist(), 0 if i % 3 else 1))
+    return rows + [(None, rows[0][1], rows[0][2]), (len(rows), rows[0][1], rows[0][2]), (rows[7][0], rows[9][1], rows[9][2])]
+
+
+@pytest.mark.parametrize("chunk", [4_096, 16])
+def test_links_between_cells_of_a_grid(spark, monkeypatch, chunk):
+    rows = planted_links()
+    monkeypatch.setattr(embedding_dedup, "CHUNK", chunk)
+    monkeypatch.setattr(embedding_dedup, "QUERY_PART", 4 * chunk)
+    table = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    x = np.array([v for _, v, _ in rows])
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    label = np.array([r[2] for r in rows])
+    link = (x @ x.T >= 0.98) & (label[:, None] == label[None, :])
+    np.fill_diagonal(link, False)
+    books = (embedding_dedup.codebook(x[:, :8], 8), embedding_dedup.codebook(x[:, 8:], 8))
+    own, visits = embedding_dedup.place(x, books, embedding_dedup.reach_of(0.98))
+    assert len(set(own.tolist())) >= 32 and 1 < np.mean([len(v) for v in visits]) < 32  # of 64 cells
+    assert (own[np.nonzero(link)[0]] != own[np.nonzero(link)[1]]).sum() >= 50
+    got = embedding_dedup.near_duplicates(table).collect()
+    vertex = [r[0] for r in rows]
+    parent = {v: v for v in vertex if v is not None}
+
+    def root(v):
+        while parent[v] != v:
+            v = parent[v]
+        return v
+
+    for i, j in zip(*np.nonzero(link)):
+        if vertex[i] is not None and vertex[j] is not None:
+            a, b = root(vertex[i]), root(vertex[j])
+            parent[max(a, b)] = min(a, b)
+    expected = sorted(((v, int(n), None if v is None else root(v)) for v, n in zip(vertex, link.sum(1))), key=str)
+    assert sorted(((r["vec_id"], r["n_links"], r["component_id"]) for r in got), key=str) == expected
+    assert all(r["kept"] == (r["vec_id"] == r["component_id"]) for r in got)
+
+
 def recall_of(got, ids, x, k=10):
     hit = 0
     queries = np.flatnonzero(ids % 100 == 0)

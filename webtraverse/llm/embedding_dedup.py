@@ -1,14 +1,19 @@
 """Embedding near-duplicates by an inverted multi-index.
 
 Vectors are scaled to length one and cut in halves; each half has its own codebook, and the product of both is a grid of cells. A
-vector is stored in the cell of its nearest codewords. A query traverses cells by growing lower bound of their distance: for each half,
-how far the query is from the codeword's region, by the planes that part it from the nearer codewords. Two
-vectors of cosine c are at squared distance 2 - 2c, so the traversal may stop where the bound exceeds that: no link is
-missed, the target recall is 1. What is met is verified in double precision.
+vector is stored in the cell of its nearest codewords. A query goes through the cells by the multi-sequence algorithm: the codewords of each half
+are sorted by a lower bound of their region's distance, and a heap merges both lists, so that cells come in the order of the sum and only
+those that are visited, and their neighbours, are ever looked at. Two vectors of cosine c are at squared distance 2 - 2c, so the traversal
+may stop where the sum exceeds that: no link is missed, the target recall is 1. What is met is verified in double precision.
 
-The codebooks are fitted on a bounded sample (``sample`` rows, in the order of a hash of their ids); every vector is stored. Equal vectors
-are one class with a count. A cell with many vectors is dealt into chunks and its queries into parts, so that a group in a
-task is bounded. Within a group only links of a spanning forest are given out, beside the number of links of each query.
+A region's bound comes from the planes that part it from the codewords nearest to the query, so it costs memory in proportion to the
+words of one half, not to the cells. As the bound holds from either end of a link, a query goes only to cells from its own on upward.
+
+The codebooks are fitted on a bounded sample (``sample`` rows, in the order of a hash of their content); every vector is stored. The grid has
+about ``cell_rows`` vectors of the largest label in a cell, ``LEAST_WORDS`` codewords a half at least, and is no finer than what keeps the visits that are measured on the
+sample below ``MOST_VISITS`` cells a vector: that decides how much work is spared, never what is found. Equal vectors are one class with a
+count. A cell with many vectors is dealt into chunks and its queries into parts, so that a group in a task is bounded. Within a group
+only links of a spanning forest are given out, beside the number of links of each vector.
 
 Behaviour at the edges: vectors that are null, empty or zero, or hold null or non-finite components, and those with a null label, have no
 links; vectors of different length are never linked; rows may repeat, each counts; rows of one id are one vertex for reachability; a null
@@ -17,6 +22,8 @@ id has links but no component and is kept; an empty table gives no rows; other c
 
 from __future__ import annotations
 
+import heapq
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -28,9 +35,9 @@ from .vectors import by_group, grouped_stream, matrix, usable
 
 THRESHOLD = 0.98
 SAMPLE = 20_000
-CELL_ROWS = 1_000
-CHUNK, QUERY_PART = 1_024, 50_000
-MOST_WORDS = 512
+CELL_ROWS, LEAST_WORDS, MOST_WORDS, MOST_VISITS = 64, 8, 512, 48
+CHUNK, QUERY_PART, AT_ONCE = 4_096, 50_000, 256
+PLANES = 8
 
 
 def codebook(x: np.ndarray, words: int, rounds: int = 15, seed: int = 5) -> np.ndarray:
@@ -41,80 +48,125 @@ def codebook(x: np.ndarray, words: int, rounds: int = 15, seed: int = 5) -> np.n
         return x if len(x) else np.zeros((1, x.shape[1]))
     c = x[rng.choice(len(x), words, replace=False)]
     for _ in range(rounds):
-        near = ((x**2).sum(1)[:, None] - 2 * x @ c.T + (c**2).sum(1)[None, :]).argmin(1)
+        near = ((c**2).sum(1)[None, :] - 2 * x @ c.T).argmin(1)
         for i in range(words):
             own = x[near == i]
             c[i] = own.mean(0) if len(own) else x[rng.integers(len(x))]
     return c
 
 
-def region_bounds(x: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For each row: the nearest codeword, and a lower bound of the squared distance to each codeword's region."""
-    d = ((x[:, None, :] - c[None, :, :]) ** 2).sum(2)
-    apart = np.sqrt(((c[:, None, :] - c[None, :, :]) ** 2).sum(2))
-    np.fill_diagonal(apart, np.inf)
-    over = (d[:, :, None] - d[:, None, :]) / (2 * np.maximum(apart, 1e-300))[None, :, :]
-    return d.argmin(1), np.maximum(over.max(2), 0) ** 2 if len(c) > 1 else np.zeros_like(d)
-
-
-def traverse(first: np.ndarray, second: np.ndarray, reach: float) -> list[np.ndarray]:
-    """Cells (as row * n + column) of each query in the order of the sum of both bounds, up to ``reach``."""
-    total = (first[:, :, None] + second[:, None, :]).reshape(len(first), -1)
-    out = []
-    for row in total:
-        met = np.flatnonzero(row <= reach)
-        out.append(met[np.argsort(row[met], kind="stable")])
+def region_bounds(x: np.ndarray, c: np.ndarray, planes: int = PLANES) -> tuple[np.ndarray, np.ndarray]:
+    """For each row: the nearest codeword, and a lower bound of the squared distance to each codeword's region.
+
+    A region lies on its codeword's side of the plane halfway to any other one; the planes used are those of the codewords nearest to the row.
+    """
+    d = (x**2).sum(1)[:, None] - 2 * x @ c.T + (c**2).sum(1)[None, :]
+    nearest, best = np.argsort(d, axis=1, kind="stable")[:, : min(planes, len(c))], np.zeros_like(d)
+    for j in range(nearest.shape[1]):
+        other = nearest[:, j]
+        apart = np.sqrt(np.maximum((c[other] ** 2).sum(1)[:, None] - 2 * c[other] @ c.T + (c**2).sum(1)[None, :], 0))
+        over = d - np.take_along_axis(d, other[:, None], 1) - 1e-12  # for rounding
+        np.maximum(best, np.divide(over, 2 * apart, out=np.zeros_like(d), where=apart > 1e-5), out=best)
+    return nearest[:, 0], best**2
+
+
+def multi_sequence(first: np.ndarray, second: np.ndarray, reach: float):
+    """(row, column, bound) of grid cells in the order of the sum of their bounds, as long as that is within ``reach``.
+
+    A cell enters the heap when the cells before it in its row and in its column have been visited, so the heap never holds more than one for each row.
+    """
+    rows, cols = np.argsort(first, kind="stable"), np.argsort(second, kind="stable")
+    a, b = first[rows].tolist(), second[cols].tolist()
+    heap, reached = [(a[0] + b[0], 0, 0)], [0] * len(a)  # how many cells of each row have been visited
+    while heap:
+        bound, i, j = heapq.heappop(heap)
+        if bound > reach:
+            return
+        yield int(rows[i]), int(cols[j]), bound
+        reached[i] = j + 1
+        if j + 1 < len(b) and (i == 0 or reached[i - 1] > j + 1):
+            heapq.heappush(heap, (a[i] + b[j + 1], i, j + 1))
+        if i + 1 < len(a) and reached[i + 1] == j:
+            heapq.heappush(heap, (a[i + 1] + b[j], i + 1, j))
+
+
+def reach_of(threshold: float) -> float:
+    return 2 - 2 * threshold + 1e-9
+
+
+def place(x: np.ndarray, books: tuple[np.ndarray, np.ndarray], reach: float) -> tuple[np.ndarray, list[list[int]]]:
+    """The cell of each row of ``x`` (of length one), and the cells from that one on that its query visits."""
+    a, b = books
+    half = x.shape[1] // 2
+    (near1, first), (near2, second) = region_bounds(x[:, :half], a), region_bounds(x[:, half:], b)
+    own = near1 * len(b) + near2
+    visits = []
+    for c, f, s in zip(own.tolist(), first, second):
+        visits.append([c, *(k for i, j, _ in multi_sequence(f, s, reach) if (k := i * len(b) + j) > c)])
+    return own, visits
+
+
+def _grid_sizes(most: int) -> list[int]:
+    """Words of a half to try, up to ``most``."""
+    out = [LEAST_WORDS]
+    while out[-1] * 2 <= most:
+        out.append(out[-1] * 2)
     return out
 
 
-def fit(vectors: DataFrame, sample: int = SAMPLE, cell_rows: int = CELL_ROWS) -> dict[int, tuple[np.ndarray, np.ndarray]]:
-    """Codebooks of both halves for each vector length in the bounded sample of ``vectors`` (rep, label, embedding)."""
-    n, labels = vectors.agg(F.count("*"), F.approx_count_distinct("label")).first()
-    words = int(min(MOST_WORDS, max(1, round((n / (cell_rows * max(labels, 1))) ** 0.5))))
-    got = vectors.orderBy(F.xxhash64("rep"), "rep").limit(sample).select("embedding").toArrow()["embedding"].to_pylist()
+def fit(vectors: DataFrame, threshold: float = THRESHOLD, sample: int = SAMPLE, cell_rows: int = CELL_ROWS) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+    """Codebooks of both halves for each vector length in the bounded sample of ``vectors`` (h1, h2, label, embedding)."""
+    largest = vectors.groupBy("label").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0] or 0
+    most = int(min(MOST_WORDS, max(LEAST_WORDS, (largest / cell_rows) ** 0.5)))
+    got = vectors.orderBy("h1", "h2").limit(sample).select("embedding").toArrow()["embedding"].to_pylist()
     books = {}
-    for size in {len(x) for x in got}:
+    for size in {len(v) for v in got}:
         x = np.array([v for v in got if len(v) == size], dtype=np.float64)
         x /= np.linalg.norm(x, axis=1)[:, None]
-        books[size] = (codebook(x[:, : size // 2], words), codebook(x[:, size // 2 :], words))
+        for words in _grid_sizes(most):
+            tried = (codebook(x[:, : size // 2], words), codebook(x[:, size // 2 :], words))
+            if size in books and np.mean([len(v) for v in place(x[:: max(1, len(x) // 200)], tried, reach_of(threshold))[1]]) > MOST_VISITS:
+                break
+            books[size] = tried
     return books
 
 
 def _stored(classes: DataFrame, books: dict, threshold: float) -> DataFrame:
-    """rep, mult, embedding, the cell each class is stored in, and the cells its query visits."""
-    reach = 2 - 2 * threshold + 1e-9
+    """rep, label, mult, embedding, the cell each class is stored in, and the cells its query visits."""
+    reach, kind = reach_of(threshold), classes.schema["embedding"].dataType.simpleString()
 
     def work(batches):
         for batch in batches:
             sizes = np.array([len(x) for x in batch.column(3)], dtype=np.int64)
-            cell, probes = np.zeros(len(sizes), np.int64), [None] * len(sizes)
+            cell, visits = np.zeros(len(sizes), np.int64), [None] * len(sizes)
             for size in np.unique(sizes):
                 at = np.flatnonzero(sizes == size)
-                for some in np.array_split(at, max(1, len(at) // 512)):
+                own = books.get(int(size), (np.zeros((1, size // 2)), np.zeros((1, size - size // 2))))
+                for some in np.array_split(at, -(-len(at) // AT_ONCE)):
                     x = matrix(batch.column(3).take(pa.array(some)))
                     x /= np.linalg.norm(x, axis=1)[:, None]
-                    a, b = books.get(int(size), (np.zeros((1, size // 2)), np.zeros((1, size - size // 2))))
-                    (near1, first), (near2, second) = region_bounds(x[:, : size // 2], a), region_bounds(x[:, size // 2 :], b)
-                    cell[some] = near1 * len(b) + near2
-                    for i, met in zip(some, traverse(first, second, reach)):
-                        probes[i] = met
-            yield pa.record_batch([*batch.columns, pa.array(cell), pa.array(probes, pa.list_(pa.int64()))], ["rep", "label", "mult", "embedding", "cell", "probes"])
+                    cell[some], met = place(x, own, reach)
+                    for i, m in zip(some, met):
+                        visits[i] = m
+            yield pa.record_batch([*batch.columns, pa.array(cell), pa.array(visits, pa.list_(pa.int64()))], ["rep", "label", "mult", "embedding", "cell", "visits"])
 
-    return map_arrow(classes.select("rep", "label", "mult", "embedding"), work, "rep long, label long, mult long, embedding array<double>, cell long, probes array<long>")
+    return map_arrow(classes.select("rep", "label", "mult", "embedding"), work, f"rep long, label long, mult long, embedding {kind}, cell long, visits array<long>")
 
 
 def _links(stored: DataFrame, threshold: float) -> DataFrame:
-    """(kind, x, y): kind 0 gives the number y of links of class x met in one group, kind 1 a link."""
-    size = F.size("embedding")
-    data = stored.withColumn("grid", F.xxhash64("label", size, "cell"))
-    queries = stored.select("rep", "label", "embedding", size.alias("size"), F.explode("probes").alias("cell")).withColumn("grid", F.xxhash64("label", "size", "cell"))
-    full = data.groupBy("grid").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("chunks"))
-    asked = queries.groupBy("grid").agg(F.ceil(F.count("*") / QUERY_PART).cast("int").alias("parts"))
-    shape = full.join(asked, "grid")
-    key = F.xxhash64("grid", "chunk", "part").alias("key")
-    dealt = data.join(shape, "grid").withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int")).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    posed = queries.join(shape, "grid").withColumn("part", F.pmod(F.xxhash64("rep", F.lit(7)), F.col("parts")).cast("int")).withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    both = dealt.select(key, F.lit(0).alias("role"), "rep", "mult", "embedding").unionByName(posed.select(key, F.lit(1).alias("role"), "rep", F.lit(0).cast("long").alias("mult"), "embedding"))
+    """(kind, x, y): kind 0 gives a number y of links of class x met in one group, kind 1 a link."""
+    grid = ["label", "size", "cell"]
+    data = stored.select("rep", "label", F.size("embedding").alias("size"), "cell", "mult", "embedding", F.lit(True).alias("own"))
+    queries = stored.select("rep", "label", F.size("embedding").alias("size"), "mult", "embedding", F.col("cell").alias("home"), F.explode("visits").alias("cell"))
+    queries = queries.select("rep", *grid, "mult", "embedding", (F.col("home") == F.col("cell")).alias("own"))
+    full = data.groupBy(grid).agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("chunks"))
+    asked = queries.groupBy(grid).agg(F.ceil(F.count("*") / QUERY_PART).cast("int").alias("parts"))
+    shape = full.join(asked, grid)  # cells that hold vectors; a visit of another one meets nothing
+    key = F.concat_ws("/", *grid, "chunk", "part").alias("key")
+    dealt = data.join(shape, grid).withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int")).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    posed = queries.join(shape, grid).withColumn("part", F.pmod(F.xxhash64("rep", F.lit(7)), F.col("parts")).cast("int")).withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    columns = ("rep", "mult", "embedding", "own")
+    both = dealt.select(key, F.lit(0).alias("role"), *columns).unionByName(posed.select(key, F.lit(1).alias("role"), *columns))
 
     def work(batches):
         group, held, ready = None, [], None
@@ -139,13 +191,15 @@ def _links(stored: DataFrame, threshold: float) -> DataFrame:
                     parent[i] = i = parent[parent[i]]
                 return i
 
-            for at in range(0, part.num_rows, 1024):
-                some = part.slice(at, 1024)
-                q, q_rep = matrix(some.column(4)), some.column(2).to_numpy()
+            for at in range(0, part.num_rows, AT_ONCE):
+                some = part.slice(at, AT_ONCE)
+                q, q_rep, q_mult = matrix(some.column(4)), some.column(2).to_numpy(), some.column(3).to_numpy()
+                foreign = ~some.column(5).to_numpy(zero_copy_only=False).astype(bool)
                 hit = (q @ x.T) / (np.linalg.norm(q, axis=1)[:, None] * nx[None, :]) >= threshold
                 hit &= q_rep[:, None] != reps[None, :]
                 count = hit @ mult
-                met = np.flatnonzero(count)
+                back = (q_mult * foreign) @ hit  # what is stored here does not visit the lower cells that those queries come from
+                met, owed = np.flatnonzero(count), np.flatnonzero(back)
                 links = []
                 for i in met.tolist():
                     own = np.flatnonzero(hit[i]).tolist()
@@ -156,31 +210,32 @@ def _links(stored: DataFrame, threshold: float) -> DataFrame:
                         if a != b:
                             parent[b] = a
                             links.append((int(reps[own[0]]), int(reps[j])))
-                kind = np.concatenate([np.zeros(len(met), np.int32), np.ones(len(links), np.int32)])
-                xs = np.concatenate([q_rep[met], np.array([l[0] for l in links], np.int64)])
-                ys = np.concatenate([count[met], np.array([l[1] for l in links], np.int64)])
+                kind = np.concatenate([np.zeros(len(met) + len(owed), np.int32), np.ones(len(links), np.int32)])
+                xs = np.concatenate([q_rep[met], reps[owed], np.array([u for u, _ in links], np.int64)])
+                ys = np.concatenate([count[met], back[owed], np.array([v for _, v in links], np.int64)])
                 yield pa.record_batch([pa.array(kind), pa.array(xs), pa.array(ys)], ["kind", "x", "y"])
 
-    return map_arrow(by_group(both).select("key", "role", "rep", "mult", "embedding"), work, "kind int, x long, y long")
+    return map_arrow(by_group(both).select("key", "role", *columns), work, "kind int, x long, y long")
 
 
-def near_duplicates(embeddings: DataFrame, threshold: float = THRESHOLD, sample: int = SAMPLE) -> DataFrame:
+def near_duplicates(embeddings: DataFrame, threshold: float = THRESHOLD, sample: int = SAMPLE, cell_rows: int = CELL_ROWS) -> DataFrame:
     """vec_id, n_links, component_id and kept of each row."""
-    rows = embeddings.select(embeddings["vec_id"].cast("long").alias("vec_id"), embeddings["label"].cast("long").alias("label"), embeddings["embedding"].cast("array<double>").alias("embedding"))
-    rows = rows.withColumn("finger", F.when(usable(F.col("embedding")) & F.col("label").isNotNull(), F.sha2(F.concat_ws(",", F.col("label").cast("string"), F.transform("embedding", lambda x: (x + F.lit(0.0)).cast("string"))), 256)))
-    some = rows.where("finger is not null")
-    # A class is named by its place among hashes, not by an id that another class may share.
-    classes = some.groupBy("finger").agg(F.min("vec_id").alias("least"), F.any_value("label").alias("label"), F.count("*").alias("mult"), F.any_value("embedding").alias("embedding")).withColumn("rep", F.xxhash64("finger"))
-    classes = materialize(classes, "vectorclasses")
-    stored = materialize(_stored(classes, fit(classes, sample), threshold), "grid")
+    kind = "float" if embeddings.schema["embedding"].dataType.simpleString() == "array<float>" else "double"
+    rows = embeddings.select(embeddings["vec_id"].cast("long").alias("vec_id"), embeddings["label"].cast("long").alias("label"), embeddings["embedding"].cast(f"array<{kind}>").alias("embedding"))
+    content = (F.col("label"), F.transform("embedding", lambda x: x + F.lit(0.0).cast(kind)))
+    good = usable(F.col("embedding")) & F.col("label").isNotNull()
+    rows = rows.withColumn("h1", F.when(good, F.xxhash64(F.lit(1), *content))).withColumn("h2", F.when(good, F.xxhash64(F.lit(2), *content)))
+    classes = rows.where(good).groupBy("h1", "h2").agg(F.min("vec_id").alias("least"), F.any_value("label").alias("label"), F.count("*").alias("mult"), F.any_value("embedding").alias("embedding"))
+    classes = materialize(classes.withColumn("rep", F.monotonically_increasing_id()), "vectorclasses")  # numbered once, as written
+    stored = materialize(_stored(classes, fit(classes, threshold, sample, cell_rows), threshold), "grid")
     links = materialize(_links(stored, threshold), "links")
     counts = links.where("kind = 0").groupBy(F.col("x").alias("rep")).agg(F.sum("y").alias("other"))
     names = classes.select("rep", "least")
     named = links.where("kind = 1").join(names.toDF("x", "u"), "x").join(names.toDF("y", "v"), "y").select("u", "v")
     reach = components(named)
-    found = classes.select("finger", "rep", "least", "mult").join(counts, "rep", "left").join(reach.withColumnRenamed("vertex", "least"), "least", "left")
-    found = found.select("finger", (F.col("mult") - 1 + F.coalesce("other", F.lit(0))).alias("n_links"), F.coalesce("component", "least").alias("component_id"))
-    out = rows.select("vec_id", "finger").join(found, "finger", "left")
+    found = classes.select("h1", "h2", "rep", "least", "mult").join(counts, "rep", "left").join(reach.withColumnRenamed("vertex", "least"), "least", "left")
+    found = found.select("h1", "h2", (F.col("mult") - 1 + F.coalesce("other", F.lit(0))).alias("n_links"), F.coalesce("component", "least").alias("component_id"))
+    out = rows.select("vec_id", "h1", "h2").join(found, ["h1", "h2"], "left")
     component = F.when(F.col("vec_id").isNotNull(), F.coalesce("component_id", "vec_id"))
     return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id")).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
 
