@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from webtraverse.llm import byte_bpe, language_model, licenses, minhash_dedup, packing, quality, substring_dedup
 
-ODD = ["", " \n\t ", "a", "É! É! H̱! ß. DON'T! it's' 5! a5! İ. ΑΣ. 日本。!! ²!", "x" * 3000, "<|endoftext|> the", "\x1c\x1d a", "the the " * 400]
+ODD = ["", " \n\t ", "a", "É! É! H̱! ß. DON'T! it's' 5! a5! İ. ΑΣ. 日本。!! ²!", "x" * 3000, "<|endoftext|> the", "a<|endoftext|>b <|startoftext|>. <|ENDOFTEXT|>", "\x1c\x1d a", "the the " * 400]
 
 
 def frame(spark, rows):
@@ -67,7 +67,6 @@ def test_packing_is_a_partition_without_padding(spark, rows):
     from tokenizers import Tokenizer
 
     model = Tokenizer.from_file(P.path(packing.DEFAULT_VOCABULARY))
-    model.encode_special_tokens = True
     pieces = packing.pack_documents(frame(spark, rows).coalesce(2), with_ids=True).collect()
     ids = {d: model.encode(t or "", add_special_tokens=False).ids + [1] for d, t in rows}
     copies = defaultdict(int)

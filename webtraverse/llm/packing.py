@@ -54,7 +54,6 @@ class WordTokenizer:
         self.bare.normalizer = self.ascii.normalizer = normalizers.Sequence([])
         self.ascii.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
         self.bare.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
-        self.model.encode_special_tokens = True
         known = self.model.get_vocab(with_added_tokens=True)
         self.ends_word = np.zeros(max(known.values()) + 1, dtype=bool)
         self.ends_word[[i for t, i in known.items() if t.endswith("</w>")]] = True
