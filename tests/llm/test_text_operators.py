@@ -288,4 +288,51 @@ def test_licences(spark):
     got = {r["row_id"]: (r["license"], r["origin"]) for r in licenses.scan(spark.createDataFrame(files, "row_id string, path string, text string")).collect()}
     assert got == {"1": ("mit", "own"), "2": ("mit", "inherited"), "3": ("apache-2.0", "own"), "4": (None, None), "5": ("mit", "inherited"), "6": ("gpl-3.0", "own"), "7": ("gpl-3.0", "inherited"), "8": (None, None)}
     assert licenses.scan_documents(frame(spark, [(1, None), (None, notice)])).count() == 2
+
+
+MIT = """Copyright (c) 2020 A Person
+
+Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER
+LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM,
+OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE
+SOFTWARE."""
+
+
+def test_licences_that_are_diluted_wrapped_or_whole(spark):
+    other = "plain words that say nothing about it"
+    cases = {
+        "diluted": ("Here some words come first: Released under the MIT License. " + other, "mit"),
+        "wrapped": (" * This work is licensed under the GNU General\n * Public License,\n * version 3.\n" + other, "gpl-3.0"),
+        "named": (f"{other}; see the Apache License, Version 2.0, for it, {other}", "apache-2.0"),
+        "spdx": (f"// SPDX-License-Identifier: Apache-2.0\n{other}", "apache-2.0"),
+        "spdx-mit": ("# spdx-license-identifier: MIT", "mit"),
+        "nc": ("Licensed under CC BY-NC 4.0.", "cc-by-nc-4.0"),
+        "start": ("under the GNU Lesser General Public License", "lgpl-3.0"),
+        "none": ("Komm mit. " + other + " the license of a driver, apache helicopters, cc to all, permission slips", None),
+    }
+    files = [(i, f"p{i}/{k}", t) for i, (k, (t, _)) in enumerate(cases.items())] + [(90, "w/a", MIT), (91, "w/b/c", other), (92, "x/a", MIT + (" " + other) * 60), (93, "x/b", other)]
+    got = {r["row_id"]: (r["license"], r["origin"]) for r in licenses.scan(spark.createDataFrame(files, "row_id long, path string, text string")).collect()}
+    assert {k: got[i][0] for i, k in enumerate(cases)} == {k: v for k, (_, v) in cases.items()}
+    assert got[90] == ("mit", "own") and got[91] == ("mit", "inherited") and got[92] == ("mit", "own") and got[93] == (None, None)
+
+
+def test_licences_of_rows_without_or_with_shared_ids(spark):
+    notice = "Released under the MIT License."
+    files = [(None, "a/x", notice), (2, "b/x", notice), (2, "b/y/z", "plain"), (2, "c/x", "plain"), (3, "d/x", notice + " " + "word " * 20), (3, "d/x", notice + " " + "word " * 20)]
+    got = [tuple(r) for r in licenses.scan(spark.createDataFrame(files, "row_id long, path string, text string")).collect()]
+    shown = sorted(((r[0], r[1], r[2], r[3], r[5]) for r in got), key=str)
+    assert shown == sorted([(None, "a/x", "mit", "own", 1), (2, "b/x", "mit", "own", 1), (2, "b/y/z", "mit", "inherited", 0), (2, "c/x", None, None, 0), (3, "d/x", "mit", "own", 1), (3, "d/x", "mit", "own", 1)], key=str)
     assert licenses.scan_documents(frame(spark, []).limit(0)).count() == 0
