@@ -229,54 +229,52 @@ def test_quality_without_labels_of_both_kinds(spark, rows):
 
 
 def brute_losses(rows, targets):
-    v = language_model.SYMBOLS
-
-    def stream(t):
-        return [256, 256, *(t or "").encode()]
-
-    def model(texts):
-        tri, ctx = defaultdict(int), defaultdict(lambda: defaultdict(int))
-        for t in texts:
-            s = stream(t)
-            for i in range(2, len(s)):
-                for c in (tuple(s[i - 2 : i]), (s[i - 1],), ()):
-                    ctx[c][s[i]] += 1
-
-        def p(s, c):
-            seen = ctx.get(c, {})
-            n, kinds = sum(seen.values()), len(seen)
-            if c == ():
-                return (seen.get(s, 0) + kinds / (v - 1)) / (n + kinds) if kinds else 1 / (v - 1)
-            kinds = kinds or 1
-            return (seen.get(s, 0) + kinds * p(s, c[1:])) / (n + kinds)
-
-        return p
-
-    background, target = model([t for _, t in rows]), model([t for d, t in rows if d in targets])
-    out = {}
-    for d, t in rows:
-        s = stream(t)
-        n = len(s) - 2
-        losses = [-sum(np.log(m(s[i], tuple(s[i - 2 : i]))) for i in range(2, len(s))) / max(n, 1) for m in (target, background)]
-        out[d] = (n, *losses)
+    """Both models counted anew for each document, without it."""
+    said = [(d, ["", *[w.decode() for w in language_model.words_of(t or "")], ""]) for d, t in rows]
+    kinds = len({w for _, s in said for w in s})
+    sizes = [sum(len(s) - 1 for d, s in said if mine(d)) for mine in (lambda d: d in targets, lambda d: True)]
+    out = []
+    for at, (d, own) in enumerate(said):
+        losses = []
+        for mine, scale in ((lambda d: d in targets, 1.0), (lambda d: True, sizes[0] / sizes[1])):
+            one, two, total = defaultdict(int), defaultdict(int), 0
+            for i, (e, s) in enumerate(said):
+                if i != at and mine(e):
+                    for a, b in zip(s, s[1:]):
+                        one[b] += 1
+                        two[a, b] += 1
+                        total += 1
+            p1 = lambda w: (scale * one[w] + language_model.BASE_PRIOR / kinds) / (scale * total + language_model.BASE_PRIOR)  # noqa: E731, B023
+            losses.append(-sum(np.log((scale * two[a, b] + language_model.PRIOR * p1(b)) / (scale * one[a] + language_model.PRIOR)) for a, b in zip(own, own[1:])) / (len(own) - 1))
+        out.append((d, len(own) - 2, *losses))
     return out
 
 
-def test_cross_entropy_difference_against_brute_force(spark, texts):
-    rows = [(d, t[:400]) for d, t in texts[:25]] + [(900, None), (901, ""), (902, "ÿ")]
-    targets = spark.createDataFrame([(texts[i][0],) for i in (1, 2, 2, 5)] + [(None,), (12_345,)], "doc_id long")
-    expected = brute_losses(rows, {texts[i][0] for i in (1, 2, 5)})
-    for r in language_model.cross_entropy_difference(frame(spark, rows), targets).collect():
-        n, a, b = expected[r["doc_id"]]
-        assert r["n_tokens"] == n and abs(r["ce_target"] - a) < 1e-9 and abs(r["ce_background"] - b) < 1e-9 and abs(r["score"] - (a - b)) < 1e-9
+@pytest.mark.parametrize("group_bytes", [language_model.GROUP_BYTES, 900])
+def test_cross_entropy_difference_against_brute_force(spark, texts, group_bytes):
+    rows = [(d, t[:400]) for d, t in texts[:25]] + [(900, None), (901, ""), (902, "\u00ff"), (903, "One, two. one TWO!"), (904, "one two one two"), (None, "one"), (None, "one"), (texts[1][0], "a row that shares its id"), (905, "word " * 3000)]
+    named = {texts[i][0] for i in (1, 2, 5)} | {904}
+    targets = spark.createDataFrame([(d,) for d in named] + [(texts[2][0],), (None,), (12_345,)], "doc_id long")
+    got = [tuple(r) for r in language_model.cross_entropy_difference(frame(spark, rows), targets, group_bytes).collect()]
+    key = lambda r: (str(r[0]), *np.round(r[1:], 6))
+    for r, e in zip(sorted(got, key=key), sorted(brute_losses(rows, named), key=key), strict=True):
+        assert r[:2] == e[:2] and abs(r[2] - e[2]) < 1e-9 and abs(r[3] - e[3]) < 1e-9 and abs(r[4] - (e[2] - e[3])) < 1e-9
     assert language_model.cross_entropy_difference(frame(spark, rows).limit(0), targets).count() == 0
 
 
-def test_models_score_texts_they_never_saw(spark, texts):
-    pair = language_model.models(language_model.count_trigrams(frame(spark, texts[:20]), spark.createDataFrame([(texts[0][0],)], "doc_id long")))
-    new = frame(spark, [(1, "zqzq 99 中"), (2, texts[0][1]), (3, texts[10][1])])
-    got = {r["doc_id"]: r for r in language_model.score_documents(new, *pair).collect()}
-    assert np.isfinite(got[1]["ce_target"]) and got[2]["score"] < got[3]["score"]
+def test_cross_entropy_difference_tells_topics_and_copies_apart(spark):
+    rng = random.Random(9)
+    ours, theirs = [f"a{i}" for i in range(300)], [f"b{i}" for i in range(300)]
+    text = lambda words: " ".join(rng.choice(words) for _ in range(120))
+    rows = [(i, text(ours if i % 2 else theirs)) for i in range(80)]
+    rows += [(1000 + i, t) for i, t in rows[:4]]
+    targets = spark.createDataFrame([(i,) for i in range(1, 40, 2)], "doc_id long")
+    got = {r["doc_id"]: r for r in language_model.cross_entropy_difference(frame(spark, rows), targets).collect()}
+    assert max(got[i]["score"] for i in range(41, 80, 2)) < min(got[i]["score"] for i in range(4, 80, 2))  # targets or not
+    twice = [got[i]["ce_background"] for i in (0, 1, 2, 3, 1000, 1001, 1002, 1003)]
+    assert max(twice) < min(got[i]["ce_background"] for i in range(4, 80)) - 1
+    nothing = language_model.cross_entropy_difference(frame(spark, rows), targets.limit(0)).collect()
+    assert all(r["score"] == 0 for r in nothing)
 
 
 def test_licences(spark):

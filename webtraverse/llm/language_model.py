@@ -1,183 +1,177 @@
-"""Cross-entropy difference of two n-gram models that share one vocabulary.
-
-Tokens are bytes: 256 values and a mark for the start of a text, so the vocabulary is the same for both models, complete and of
-fixed size. Trigram counts come from every whole text, once for the background (all documents) and once for the target
-(the documents named by the caller). Both models use the same interpolation: a context gives way to the shorter one by the
-number of distinct tokens seen after it, down to the uniform distribution. The score of a document is its mean
-loss per token under the target less that under the background: the lower, the more it is like the target.
-
-Counts are added up within each batch, then by a map-side combine, then by trigram. The model has at most 257**3 entries;
-that is the proven bound of what the driver gathers and sends out.
-
-Behaviour at the edges: null text is empty text; a text without tokens has the losses and the score 0; without target documents the
-target model is uniform; equal texts get equal scores; target ids may repeat, be null or unknown; an empty table gives no rows.
+"""Cross-entropy difference of two word n-gram models that share one vocabulary.
+
+The vocabulary holds every distinct word of all documents, and a mark for the end of a text, so it grows with the input. Words and word pairs of
+every whole text are counted, once for the background (all documents) and once for the target (the documents named by the caller). Both models have
+the same form: the probability of a word after another one is smoothed by its probability alone (Dirichlet prior of ``PRIOR`` words), and that by the
+uniform one over the vocabulary. They are matched in size: background counts are scaled to the number of target tokens, which
+is what a sample of that size holds on average, without drawing one. The score of a document is its mean loss per token under
+the target less that under the background: the lower, the more it is like the target. A document is scored by models from which its own
+counts are taken off, so a target document is not told by itself, and one that occurs twice by its copy.
+
+Counts are kept as distributed tables and met by key, nothing is gathered. Documents are dealt into groups of about ``GROUP_BYTES``; each
+group sends its distinct n-grams, with their counts, to buckets of hashes; a bucket adds them up and returns to each group the sums of what it
+sent; the group, whose texts have not moved since, scores its documents with them. A frequent n-gram comes once from a group, so no key is hot. As every
+group hears from every bucket, the size of the vocabulary and of the models come along with the sums.
+
+Words are told by 64-bit hashes, A-Z lowered, with ASCII marks as blanks.
+
+Behaviour at the edges: null text is empty text, of which only the end mark is scored; without target documents both models are uniform and all
+scores 0; equal texts of the same standing get equal scores; rows of one id are documents of their own; target ids may repeat, be null or unknown; an empty
+table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
-
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_arrow, text_column
+from ..session import ship_package
+from .common import text_column
 
-SYMBOLS = 257
-START = 256
-BATCH_TEXTS = 512
+GROUP_BYTES = 8_000_000
+PRIOR, BASE_PRIOR = 4.0, 1.0
+SALTS = 8
+END = np.uint64(0x5851F42D4C957F2D)
 SCORES = "doc_id long, n_tokens long, ce_target double, ce_background double, score double"
+_BLANKED = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
+
+
+def words_of(text: str) -> list[bytes]:
+    return text.encode().translate(_BLANKED).split()
+
+
+def _mix(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(31))) * np.uint64(0x7FB5D329728EA185)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x81DADEF4BC2DD44D)
+    return x ^ (x >> np.uint64(33))
+
+
+class Tokens:
+    """The n-grams of a group of documents: each document's words and its end, and each with what stands before it."""
+
+    def __init__(self, texts: list[str]):
+        found = [np.fromiter(map(xxhash.xxh3_64_intdigest, w), np.uint64, len(w)) for w in map(words_of, texts)]
+        self.n_words = np.array([len(w) for w in found], dtype=np.int64)
+        ends = np.array([END])
+        said = np.concatenate([x for w in found for x in (w, ends)]) if found else np.zeros(0, np.uint64)
+        self.doc = np.repeat(np.arange(len(texts)), self.n_words + 1)
+        self.first = np.cumsum(self.n_words + 1) - self.n_words - 1
+        before = np.concatenate([ends, said[:-1]]) if len(said) else said  # a text begins after the end of another one
+        single = _mix(said) & ~np.uint64(1)
+        pair = _mix(before * np.uint64(0x9E3779B97F4A7C15) + said) | np.uint64(1)
+        self.grams, which = np.unique(np.concatenate([single, pair]), return_inverse=True)
+        self.single, self.pair = which[: len(said)], which[len(said) :]
+
+    def counts(self, weight: np.ndarray) -> np.ndarray:
+        """How often each n-gram occurs, where a document counts by its weight."""
+        w = weight[self.doc].astype(np.float64)
+        n = len(self.grams)
+        return (np.bincount(self.single, w, n) + np.bincount(self.pair, w, n)).astype(np.int64)
+
+    def dealt(self, buckets: int) -> tuple[np.ndarray, np.ndarray]:
+        """The order of n-grams by bucket, and where each bucket begins."""
+        bucket = (self.grams >> np.uint64(1)) % np.uint64(buckets)
+        order = np.argsort(bucket, kind="stable")
+        return order, np.searchsorted(bucket[order], np.arange(buckets + 1, dtype=np.uint64))
+
+    def own(self, which: np.ndarray) -> np.ndarray:
+        """For each token, how often its document holds the same n-gram."""
+        _, at, n = np.unique(self.doc * len(self.grams) + which, return_inverse=True, return_counts=True)
+        return n[at]
+
+    def losses(self, counts: np.ndarray, total: int, kinds: int, scale: float, inside: np.ndarray) -> np.ndarray:
+        """The mean loss of each document under a model from which the document is taken off, if it is ``inside``."""
+        part = inside[self.doc].astype(np.int64)
+        own1, own2 = self.own(self.single), self.own(self.pair)
+        own_before = np.empty_like(own1)
+        own_before[1:] = own1[:-1]
+        own_before[self.first] = 1
+        before = np.empty_like(self.single)
+        before[1:] = self.single[:-1]
+        before[self.first] = self.single[self.first + self.n_words]
+        rest = scale * (total - (self.n_words + 1)[self.doc] * part)
+        alone = (scale * (counts[self.single] - own1 * part) + BASE_PRIOR / max(kinds, 1)) / (rest + BASE_PRIOR)
+        p = (scale * (counts[self.pair] - own2 * part) + PRIOR * alone) / (scale * (counts[before] - own_before * part) + PRIOR)
+        return np.bincount(self.doc, -np.log(p), len(self.n_words)) / (self.n_words + 1)
+
+
+def _wanted(table: pa.Table) -> tuple[pa.Table, np.ndarray]:
+    """The documents of a group, and which of them are targets."""
+    roles = table["role"].to_numpy()
+    ids = set(table["doc_id"].take(pa.array(np.flatnonzero(roles == 0))).to_pylist())
+    docs = table.take(pa.array(np.flatnonzero(roles == 1)))
+    return docs, np.array([d is not None and d in ids for d in docs["doc_id"].to_pylist()], dtype=bool)
+
+
+#: Lists of numbers travel as little-endian 64-bit integers.
+POSTINGS = "bucket long, grp long, gram binary, background binary, target binary"
+SUMS = "grp long, bucket long, background binary, target binary, kinds long, all_background long, all_target long"
+
+
+def _names(schema: str) -> list[str]:
+    return [c.split()[0] for c in schema.split(", ")]
+
+
+def _packed(values: np.ndarray, cuts: np.ndarray) -> pa.Array:
+    data, ends = np.ascontiguousarray(values, "<i8").tobytes(), (8 * cuts).tolist()
+    return pa.array([data[i:j] for i, j in zip(ends[:-1], ends[1:])], pa.binary())
+
+
+def _unpacked(column: pa.ChunkedArray) -> list[np.ndarray]:
+    return [np.frombuffer(x.as_buffer(), "<i8") for x in column]
+
+
+def add_up(table: pa.Table) -> pa.Table:
+    """The postings of a bucket: the sums of each n-gram, given back to each group in the order in which it named them."""
+    grams = _unpacked(table["gram"])
+    cuts = np.cumsum([0, *map(len, grams)])
+    kinds, which = np.unique(np.concatenate(grams), return_inverse=True)
+    sums = [np.bincount(which, np.concatenate(_unpacked(table[c])).astype(np.float64), len(kinds)).astype(np.int64) for c in ("background", "target")]
+    word = kinds & 1 == 0
+    totals = [pa.array(np.full(table.num_rows, x, np.int64)) for x in (word.sum(), sums[0][word].sum(), sums[1][word].sum())]
+    return pa.table([table["grp"], table["bucket"], _packed(sums[0][which], cuts), _packed(sums[1][which], cuts), *totals], _names(SUMS))
 
 
-def symbols(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """All texts as symbols, each behind two start marks, and the place of each text's first symbol."""
-    sizes = np.fromiter(map(len, texts), dtype=np.int64, count=len(texts))
-    data = np.frombuffer(b"\0\0" + b"\0\0".join(texts), dtype=np.uint8).astype(np.int32)
-    starts = np.cumsum(sizes + 2) - sizes
-    data[starts - 1] = START
-    data[starts - 2] = START
-    return data, starts
-
-
-def trigram_codes(data: np.ndarray) -> np.ndarray:
-    return (data[:-2] * SYMBOLS + data[1:-1]) * SYMBOLS + data[2:]
-
-
-def count_trigrams(docs: DataFrame, targets: DataFrame) -> DataFrame:
-    """(gram int, background long, target long) over all documents."""
-    wanted = targets.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct().withColumn("wanted", F.lit(True)).hint("merge")  # one way at every size
-    rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text")).join(wanted, "doc_id", "left").select(F.coalesce("wanted", F.lit(False)).alias("wanted"), "text")
-
-    def work(batches):
-        for batch in batches:
-            for a in range(0, batch.num_rows, BATCH_TEXTS):
-                part = batch.slice(a, BATCH_TEXTS)
-                flags = part.column(0).to_numpy(zero_copy_only=False).astype(bool)
-                texts = [t.as_py().encode() for t in part.column(1)]
-                found = []
-                for group in ([t for t, f in zip(texts, flags) if not f], [t for t, f in zip(texts, flags) if f]):
-                    if not group:
-                        found.append((np.zeros(0, np.int32), np.zeros(0, np.int64)))
-                        continue
-                    codes = trigram_codes(symbols(group)[0])
-                    codes = codes[codes % SYMBOLS != START]
-                    found.append(np.unique(codes, return_counts=True))
-                (other, n), (own, m) = found
-                zero = np.zeros(len(other), np.int64)
-                cols = [np.concatenate(x) for x in ((other, own), (n, m), (zero, m))]
-                yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, (pa.int32(), pa.int64(), pa.int64()))], ["gram", "background", "target"])
-
-    return map_arrow(rows, work, "gram int, background long, target long").groupBy("gram").agg(F.sum("background").alias("background"), F.sum("target").alias("target"))
-
-
-@dataclass(frozen=True)
-class Interpolated:
-    """Log-probabilities of trigrams; unseen ones fall back on the dense table of bigrams."""
-
-    grams: np.ndarray
-    logs: np.ndarray
-    pair_weight: np.ndarray  # what a context of two symbols leaves to the shorter one
-    pair: np.ndarray  # probability of a symbol after one symbol
-
-    @classmethod
-    def of(cls, grams: np.ndarray, counts: np.ndarray) -> "Interpolated":
-        v, seen = SYMBOLS, counts > 0
-        after, last = grams // v, grams % v
-        kinds2 = np.bincount(after[seen], minlength=v * v).astype(float)
-        total2 = np.bincount(after, counts, minlength=v * v)
-        pairs = np.bincount(grams % (v * v), counts, minlength=v * v).reshape(v, v)
-        total1, kinds1 = pairs.sum(1), (pairs > 0).sum(1).astype(float)
-        ones = pairs.sum(0)
-        kinds0 = float((ones > 0).sum())
-        single = (ones + kinds0 / (v - 1)) / (ones.sum() + kinds0) if kinds0 else np.full(v, 1 / (v - 1))
-        spare1 = np.where(total1 > 0, kinds1, 1.0)
-        pair = (pairs + spare1[:, None] * single[None, :]) / (total1 + spare1)[:, None]
-        spare2 = np.where(total2 > 0, kinds2, 1.0)
-        p = (counts + spare2[after] * pair[(after % v), last]) / (total2 + spare2)[after]
-        return cls(grams, np.log(p), spare2 / (total2 + spare2), pair)
-
-    def loss(self, codes: np.ndarray) -> np.ndarray:
-        if not len(self.grams):
-            at, hit = np.zeros(len(codes), np.int64), np.zeros(len(codes), bool)
-        else:
-            at = np.minimum(np.searchsorted(self.grams, codes), len(self.grams) - 1)
-            hit = self.grams[at] == codes
-        out = np.empty(len(codes))
-        out[hit] = -self.logs[at[hit]]
-        rest = codes[~hit]
-        after = rest // SYMBOLS
-        out[~hit] = -np.log(self.pair_weight[after] * self.pair[after % SYMBOLS, rest % SYMBOLS])
-        return out
-
-
-def models(counts: DataFrame) -> tuple[Interpolated, Interpolated]:
-    """Target and background model; at most 257**3 rows of counts are gathered."""
-    got = counts.toArrow().sort_by([("gram", "ascending")])
-    grams = got["gram"].to_numpy().astype(np.int64)
-    return tuple(Interpolated.of(grams, got[c].to_numpy().astype(np.float64)) for c in ("target", "background"))
-
-
-def score_documents(docs: DataFrame, target: Interpolated, background: Interpolated) -> DataFrame:
-    sent = docs.sparkSession.sparkContext.broadcast((target, background))
-
-    def work(batches):
-        pair = sent.value
-        table = None
-        for batch in batches:
-            for a in range(0, batch.num_rows, BATCH_TEXTS):
-                part = batch.slice(a, BATCH_TEXTS)
-                texts = [t.as_py().encode() for t in part.column(1)]
-                if table is None:
-                    table = _dense(pair)
-                data, starts = symbols(texts)
-                sizes = np.fromiter(map(len, texts), dtype=np.int64, count=len(texts))
-                sums = _sums(data, starts, sizes, pair, table)
-                some = np.maximum(sizes, 1)
-                yield pa.record_batch([part.column(0), pa.array(sizes), pa.array(sums[0] / some), pa.array(sums[1] / some), pa.array((sums[0] - sums[1]) / some)], ["doc_id", "n_tokens", "ce_target", "ce_background", "score"])
-
-    return map_arrow(docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text")), work, SCORES)
-
-
-def _dense(pair):
-    """Losses by the symbols that occur, for lookup without search; the alphabet of a corpus is far below 257."""
-    grams = pair[0].grams
-    used = np.unique(np.concatenate([grams // SYMBOLS**2, grams // SYMBOLS % SYMBOLS, grams % SYMBOLS, [START]]))
-    place = np.zeros(SYMBOLS, dtype=np.int64)
-    place[used] = np.arange(len(used)) + 1
-    k = len(used) + 1
-    where = (place[grams // SYMBOLS**2] * k + place[grams // SYMBOLS % SYMBOLS]) * k + place[grams % SYMBOLS]
-    losses = np.full((2, k**3), np.nan, dtype=np.float32 if k > 160 else np.float64)
-    for i, model in enumerate(pair):
-        losses[i, where] = -model.logs
-    return place, k, losses
-
-
-def _sums(data, starts, sizes, pair, table) -> list[np.ndarray]:
-    """The sum of losses of each text under both models."""
-    place, k, losses = table
-    p = place[data]
-    at = (p[:-2] * k + p[1:-1]) * k + p[2:]
-    inside = np.zeros(len(data) + 1, dtype=np.int64)
-    inside[starts] += 1
-    np.add.at(inside, starts + sizes, -1)
-    counted = np.cumsum(inside)[2:-1] > 0
-    out = []
-    for i, model in enumerate(pair):
-        loss = losses[i][at].astype(np.float64)
-        unknown = counted & np.isnan(loss)
-        if unknown.any():
-            loss[unknown] = model.loss(trigram_codes(data.astype(np.int64))[unknown])
-        run = np.concatenate([[0.0, 0.0], np.where(counted, loss, 0.0)])
-        some = sizes > 0
-        total = np.zeros(len(sizes))
-        if some.any():
-            edges = np.stack([starts[some], starts[some] + sizes[some]], axis=1).ravel()
-            total[some] = np.add.reduceat(np.append(run, 0.0), edges)[::2]
-        out.append(total)
-    return out
-
-
-def cross_entropy_difference(docs: DataFrame, targets: DataFrame) -> DataFrame:
+def cross_entropy_difference(docs: DataFrame, targets: DataFrame, group_bytes: int = GROUP_BYTES) -> DataFrame:
     """Score every document against the documents whose ids ``targets`` holds."""
-    return score_documents(docs, *models(count_trigrams(docs, targets)))
+    spark = docs.sparkSession
+    ship_package(spark)
+    rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), text_column(docs).alias("text"))
+    groups = int((rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // group_bytes) + 1
+    grp = F.pmod(F.xxhash64("doc_id", "salt"), F.lit(groups)).alias("grp")
+    # The salt parts rows that share an id; targets are told to all salts.
+    said = rows.withColumn("salt", F.floor(F.rand(11) * SALTS * F.when(F.col("doc_id").isNull(), 1 << 20).otherwise(1)).cast("int")).select(grp, F.lit(1).alias("role"), "doc_id", "text")
+    named = targets.select(F.col("doc_id").cast("long").alias("doc_id")).where("doc_id is not null").distinct().withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    grouped = said.unionByName(named.select(grp, F.lit(0).alias("role"), "doc_id", F.lit(None).cast("string").alias("text"))).repartition(groups, "grp")
+
+    def send(table: pa.Table) -> pa.Table:
+        own, wanted = _wanted(table)
+        tokens = Tokens(own["text"].to_pylist())
+        order, cuts = tokens.dealt(groups)
+        columns = (tokens.grams.view(np.int64), tokens.counts(np.ones(len(wanted))), tokens.counts(wanted))
+        name = np.full(groups, table["grp"][0].as_py(), np.int64)
+        return pa.table([pa.array(np.arange(groups, dtype=np.int64)), pa.array(name), *(_packed(c[order], cuts) for c in columns)], _names(POSTINGS))
+
+    def score(table: pa.Table, sums: pa.Table) -> pa.Table:
+        own, wanted = _wanted(table)
+        tokens = Tokens(own["text"].to_pylist())
+        order, cuts = tokens.dealt(groups)
+        sums = sums.sort_by("bucket")
+        if sums["bucket"].to_pylist() != list(range(groups)):
+            raise RuntimeError("a group has not heard from every bucket")
+        counts = []
+        for column in ("background", "target"):
+            got = np.empty(len(order), np.int64)
+            got[order] = np.concatenate(_unpacked(sums[column]))
+            counts.append(got)
+        kinds, n_background, n_target = (sum(sums[c].to_pylist()) for c in ("kinds", "all_background", "all_target"))
+        target = tokens.losses(counts[1], n_target, kinds, 1.0, wanted)
+        background = tokens.losses(counts[0], n_background, kinds, n_target / max(n_background, 1), np.ones(len(wanted), bool))
+        return pa.table([own["doc_id"], pa.array(tokens.n_words), pa.array(target), pa.array(background), pa.array(target - background)], ["doc_id", "n_tokens", "ce_target", "ce_background", "score"])
+
+    postings = grouped.groupBy("grp").applyInArrow(send, POSTINGS)
+    sums = postings.groupBy("bucket").applyInArrow(add_up, SUMS)
+    return grouped.groupBy("grp").cogroup(sums.groupBy("grp")).applyInArrow(score, SCORES)
