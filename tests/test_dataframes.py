@@ -179,3 +179,15 @@ def test_stream_join_of_two_patterns(spark, small, tmp_path):
     query.processAllAvailable()
     query.stop()
     assert spark.table("pairs").count() == 108
+
+
+def test_no_machine_local_folder_on_a_cluster(spark):
+    from types import SimpleNamespace
+
+    from webtraverse.session import shared_dir
+
+    settings = SimpleNamespace(get=lambda key, default=None: None)
+    session = lambda master: SimpleNamespace(conf=settings, sparkContext=SimpleNamespace(master=master, getConf=lambda: settings))
+    assert shared_dir(session("local[4]")).startswith("file://")
+    with pytest.raises(RuntimeError, match="checkpoint.dir"):
+        shared_dir(session("spark://host:7077"))

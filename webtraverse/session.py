@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 import uuid
 import zipfile
@@ -44,11 +45,13 @@ _own_dir: str | None = None
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: ``spark.checkpoint.dir``; a folder of our own only where that is unset."""
+    """The folder that all executors share: ``spark.checkpoint.dir``; a folder of our own only where that is unset and one process does all the work."""
     global _own_dir
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
+    if not re.match(r"local(\[|$)", spark.sparkContext.master):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share: a local one would lose what other executors wrote")
     if _own_dir is None:
         _own_dir = "file://" + tempfile.mkdtemp(prefix="webtraverse-")
     return _own_dir
