@@ -210,6 +210,43 @@ def test_pairs_at_the_threshold_in_large_nodes_of_outsiders(spark):
     assert sum(got[2 * p + 1] == 2 * p for p in range(800)) >= 799
 
 
+@pytest.mark.parametrize("leaf", [6, 40])
+def test_near_duplicates_where_most_nodes_are_large(spark, rows, monkeypatch, leaf):
+    monkeypatch.setattr(minhash_dedup, "LEAF", leaf)
+    monkeypatch.setattr(minhash_dedup, "MEMBER_CHUNK", 8)
+    monkeypatch.setattr(minhash_dedup, "ASKED_PART", 4)
+    monkeypatch.setattr(minhash_dedup, "PAIRS_AT_ONCE", 3)
+    rng = random.Random(12)
+    near = []
+    for d in range(90):  # three templates that share words, of which copies differ in up to a third
+        w = [f"c{i}" for i in range(60)] + [f"t{d % 3}_{i}" for i in range(60)]
+        for _ in range(rng.randint(0, 30)):
+            w[rng.randrange(120)] = f"x{rng.randint(0, 10**6)}"
+        near.append((30_000 + d, " ".join(w)))
+    table = rows[:60] + near
+    got = {r["doc_id"]: r["component_id"] for r in minhash_dedup.near_duplicates(frame(spark, table), 1).collect()}
+    assert got == {d: c for d, (_, c) in brute_groups(table, 1).items()}
+
+
+def test_trees_follow_threshold_and_recall():
+    assert minhash_dedup.trees_for(0.8) == 9 and minhash_dedup.trees_for(0.9) < 9 < minhash_dedup.trees_for(0.6) < minhash_dedup.trees_for(0.6, 0.99999)
+    rng = np.random.default_rng(3)
+    for threshold in (0.6, 0.7):  # sets of 200 with just that similarity
+        common = round(400 * threshold / (1 + threshold))
+        left = [rng.integers(0, 1 << 63, 200, dtype=np.uint64) for _ in range(300)]
+        right = [np.concatenate([x[:common], rng.integers(0, 1 << 63, 200 - common, dtype=np.uint64)]) for x in left]
+        nodes = [minhash_dedup.start_nodes(np.stack([minhash_dedup.signature(x) for x in side]), minhash_dedup.trees_for(threshold)) for side in (left, right)]
+        assert sum(bool(set(a.tolist()) & set(b.tolist())) for a, b in zip(*nodes)) >= 295
+
+
+def test_one_row_of_an_id_stays_whatever_the_order(spark):
+    rows = [(1, "a b c d e f g"), (1, "other words stand here now today"), (1, "third text of the same id here"), (2, "a b c d e f g h"), (None, "x"), (None, "x")]
+    first = sorted(tuple(r) for r in minhash_dedup.drop_near_duplicates(frame(spark, rows).repartition(4)).where("doc_id is not null").collect())
+    again = sorted(tuple(r) for r in minhash_dedup.drop_near_duplicates(frame(spark, rows[::-1]).coalesce(1)).where("doc_id is not null").collect())
+    assert first == again and len(first) == len({r[0] for r in first})
+    assert minhash_dedup.drop_near_duplicates(frame(spark, rows)).where("doc_id is null").count() == 2
+
+
 def test_quality_on_held_out_labels(spark):
     sf = "/root/testdata/sf0.01"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")

@@ -2,62 +2,17 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import ship_package
+from ..session import discard, ship_package  # noqa: F401
+from ..session import durable as materialize  # noqa: F401
 
 #: Words are runs of anything but these ASCII blanks; ``bytes.split()`` splits at exactly them.
 BLANKS = r"[\x20\x09-\x0D]+"
 
-_own_dir: str | None = None
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: ``spark.checkpoint.dir``; a folder of our own only where that is unset."""
-    global _own_dir
-    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if named:
-        return named.rstrip("/")
-    if _own_dir is None:
-        _own_dir = "file://" + tempfile.mkdtemp(prefix="webtraverse-")
-    return _own_dir
-
-
-ROWS_A_FILE = 20_000
-
-
-def materialize(df: DataFrame, tag: str, rows: int | None = None) -> DataFrame:
-    """Write ``df`` as Parquet in the shared folder and read it back.
-
-    The copy cuts the lineage and outlives any executor. It stays until ``discard`` or until the folder is cleaned. ``rows``, a rough
-    number of rows where one is known, keeps small tables from being written as many tiny files.
-    """
-    spark = df.sparkSession
-    if rows is not None:
-        df = df.coalesce(max(1, -(-rows // ROWS_A_FILE)))
-    path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
-    schema = df.schema
-    df.write.parquet(path)
-    back = spark.read.schema(schema).parquet(path)
-    back._durable_path = path
-    return back
-
-
-def discard(df: DataFrame | None) -> None:
-    """Delete a table written by ``materialize`` which nothing reads any more."""
-    path = getattr(df, "_durable_path", None)
-    if not path:
-        return
-    jvm = df.sparkSession.sparkContext._jvm
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(df.sparkSession.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-
 
 def map_arrow(df: DataFrame, work, schema: str) -> DataFrame:
     """``mapInArrow`` with this package on every executor."""

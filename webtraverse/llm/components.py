@@ -34,12 +34,12 @@ def _mark(links: DataFrame):
     return links.agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("u", "v")).alias("x")).first()
 
 
-def components(links: DataFrame, rows: int | None = None) -> DataFrame:
-    """(vertex, component): the smallest vertex that each linked vertex reaches; ``links`` are (u, v), about ``rows`` of them."""
-    now = materialize(links.where("u <> v").select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v")).distinct(), "links", rows)
+def components(links: DataFrame) -> DataFrame:
+    """(vertex, component): the smallest vertex that each linked vertex reaches; ``links`` are (u, v)."""
+    now = materialize(links.where("u <> v").select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v")).distinct(), "links")
     mark = _mark(now)
     while mark["n"]:
-        after = materialize(_small_star(_large_star(now)), "stars", mark["n"])
+        after = materialize(_small_star(_large_star(now)), "stars")
         new = _mark(after)
         discard(now)
         now = after
@@ -50,11 +50,11 @@ def components(links: DataFrame, rows: int | None = None) -> DataFrame:
     return vertices.unionByName(now.select(F.col("v").alias("vertex"), F.col("v").alias("component")).distinct())
 
 
-def extend(known: DataFrame, links: DataFrame, rows: int | None = None) -> DataFrame:
+def extend(known: DataFrame, links: DataFrame) -> DataFrame:
     """(vertex, component) after further ``links`` (u, v): only what they join is followed, between components instead of vertices."""
     name = known.select("vertex", "component")
     ends = links.select("u", "v").join(name.toDF("u", "cu"), "u", "left").join(name.toDF("v", "cv"), "v", "left")
-    ends = materialize(ends.select("u", "v", F.coalesce("cu", "u").alias("cu"), F.coalesce("cv", "v").alias("cv")), "newlinks", rows)
-    moved = components(ends.select(F.col("cu").alias("u"), F.col("cv").alias("v")), rows).toDF("component", "now")
+    ends = materialize(ends.select("u", "v", F.coalesce("cu", "u").alias("cu"), F.coalesce("cv", "v").alias("cv")), "newlinks")
+    moved = components(ends.select(F.col("cu").alias("u"), F.col("cv").alias("v"))).toDF("component", "now")
     fresh = ends.select(F.col("u").alias("vertex"), F.col("cu").alias("component")).unionByName(ends.select(F.col("v").alias("vertex"), F.col("cv").alias("component")))
     return name.unionByName(fresh).distinct().join(moved, "component", "left").select("vertex", F.coalesce("now", "component").alias("component"))

@@ -3,15 +3,16 @@
 Each document is the set of its distinct shingles of ``k`` words. Documents of equal sets are one class from the start. For each of
 several independent trees a class walks down paths: a node picks a minwise hash function, the token it selects in the set leads to the
 child; a quarter of the nodes pick two, so that a pair at the threshold shares about one path in expectation at any depth. Nodes with few classes are
-compared exhaustively by bit sketches, larger ones are branched on. The trees repeat until pairs at the threshold are met with the
-target recall: at 0.8 and the starting depth, one tree meets 58 % of them, nine trees 99.96 %. No node is split further
-down, as a pair would have to stay together on more levels than the trees are enough for.
+compared exhaustively by bit sketches. The trees repeat until pairs at the threshold are met with the target recall, as ``trees_for`` works
+out for any threshold: at 0.8 and the starting depth, one tree meets 58 % of them, nine trees 99.96 %. Every class descends to that
+depth, as shuffling nodes higher up, too, costs more than comparing them saves; no node is split further down, as a pair would have to stay
+together on more levels than the trees are enough for.
 
 Pairs that pass the sketches are confirmed on the full sets. That is done in two rounds, so that groups of copies don't
 give all their pairs. First come a spanning forest of each small node and the stars of a few pivots of each large one. What this
 connects needs no further look. Then every remaining pair of a small node is tried across components. In a large node, the
-component that most of its classes belong to is compared with each class outside it, block by block and up to the first link; the
-outsiders among themselves, however many, are compared block against block.
+component that most of its classes belong to is compared with each class outside it, chunk by chunk: sketches first, then the full sets of what these
+let pass, up to the first link; the outsiders among themselves, however many, are compared block against block.
 
 Behaviour at the edges: null text and texts without words have no set, are linked with nothing and kept; a text of fewer than ``k`` words is one
 shingle; rows of one id are one document; a null id has no component and is kept; very long texts are hashed in slices; an empty table
@@ -20,6 +21,8 @@ gives no rows; other columns are ignored.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -31,9 +34,9 @@ from .common import map_arrow, materialize, runs, text_column
 from .components import components, extend
 from .vectors import by_group, grouped_stream
 
-TREES, START_DEPTH = 9, 4
+START_DEPTH, TARGET_RECALL = 4, 0.9995
 LEAF = 256
-PIVOTS, STAR_PART, MEMBER_CHUNK, ASKED_PART = 16, 5_000, 512, 128
+PIVOTS, STAR_PART, MEMBER_CHUNK, ASKED_PART, PAIRS_AT_ONCE = 16, 5_000, 512, 128, 1_000
 FUNCTIONS = 128
 AT_ONCE = 256
 M31, M27 = np.uint64(0x7FB5D329728EA185), np.uint64(0x81DADEF4BC2DD44D)
@@ -41,7 +44,7 @@ M31, M27 = np.uint64(0x7FB5D329728EA185), np.uint64(0x81DADEF4BC2DD44D)
 _rng = np.random.default_rng(20_011)
 _FACTORS = _rng.integers(0, 1 << 63, FUNCTIONS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _SHIFTS = _rng.integers(0, 1 << 63, FUNCTIONS, dtype=np.uint64)
-_ROOTS = _rng.integers(0, 1 << 63, 64, dtype=np.uint64)
+_ROOTS = _rng.integers(0, 1 << 63, 64, dtype=np.uint64)  # the first ones; lower thresholds take more
 _WHICH, _TWICE, _OTHER, _SIDE = _rng.integers(0, 1 << 63, 4, dtype=np.uint64)
 
 
@@ -101,9 +104,23 @@ def _descend(nodes: np.ndarray, signatures: np.ndarray) -> tuple[np.ndarray, np.
     return a, np.where(_mix(nodes ^ _TWICE) & np.uint64(3) == 0, b, np.uint64(0))
 
 
-def start_nodes(signatures: np.ndarray, trees: int = TREES, depth: int = START_DEPTH) -> list[np.ndarray]:
+def meeting(threshold: float, depth: int = START_DEPTH) -> float:
+    """The probability that a pair at the threshold shares a node of one tree at this depth: of a node's choices, one or, in a quarter of them, two."""
+    met = 1.0
+    for _ in range(depth):
+        met = 0.75 * threshold * met + 0.25 * (1 - (1 - threshold * met) ** 2)
+    return met
+
+
+def trees_for(threshold: float, recall: float = TARGET_RECALL) -> int:
+    """As many independent trees as meet a pair at the threshold with the target recall."""
+    return max(1, math.ceil(math.log(1 - recall) / math.log(1 - min(meeting(threshold), 1 - 1e-9))))
+
+
+def start_nodes(signatures: np.ndarray, trees: int, depth: int = START_DEPTH) -> list[np.ndarray]:
     """The distinct nodes at the starting depth, over all trees, of each row."""
-    row, node = np.repeat(np.arange(len(signatures)), trees), np.tile(_ROOTS[:trees], len(signatures))
+    roots = np.concatenate([_ROOTS, _mix(np.arange(max(0, trees - len(_ROOTS)), dtype=np.uint64) + _ROOTS[0])])[:trees]
+    row, node = np.repeat(np.arange(len(signatures)), trees), np.tile(roots, len(signatures))
     for _ in range(depth):
         a, b = _descend(node, signatures[row])
         row, node = np.concatenate([row, row[b != 0]]), np.concatenate([a, b[b != 0]])
@@ -112,7 +129,7 @@ def start_nodes(signatures: np.ndarray, trees: int = TREES, depth: int = START_D
     return [np.unique(x).view(np.int64) for x in np.split(node[order], ends)]
 
 
-def survey(docs: DataFrame, k: int, trees: int = TREES) -> DataFrame:
+def survey(docs: DataFrame, k: int, trees: int) -> DataFrame:
     """doc_id, n_shingles, fp (of the set), s1, s2 and start nodes of each row."""
 
     def work(batches):
@@ -254,7 +271,7 @@ def _outsiders(large: DataFrame) -> DataFrame:
 
 
 def _to_main(outside: DataFrame, known: DataFrame, sketches: DataFrame, texts: DataFrame, k: int, threshold: float, least: int) -> DataFrame:
-    """(u, v): a confirmed link of an outsider with each chunk of a main component that has one."""
+    """(u, v): a confirmed link of an outsider with each chunk of a main component that has one. Only those that sketches let pass are compared by their texts."""
     of100 = round(threshold * 100)
     asked = outside.select("rep", "main").distinct()
     mains = asked.select("main").distinct()
@@ -262,11 +279,34 @@ def _to_main(outside: DataFrame, known: DataFrame, sketches: DataFrame, texts: D
     chunks = members.groupBy("main").agg(F.ceil(F.count("*") / MEMBER_CHUNK).cast("int").alias("chunks"))
     parts = asked.groupBy("main").agg(F.ceil(F.count("*") / ASKED_PART).cast("int").alias("parts"))
     chunks = chunks.join(parts, "main")
-    full = sketches.join(texts.dropDuplicates(["id"]).select(F.col("id").alias("rep"), "text"), "rep")
-    key = F.xxhash64("main", "chunk", "part").alias("key")
-    data = members.join(chunks, "main").withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int")).join(full, "rep").withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    posed = asked.join(chunks, "main").join(full, "rep").withColumn("part", F.pmod(F.xxhash64("rep", F.lit(5)), F.col("parts")).cast("int")).withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
-    both = data.select(key, F.lit(0).alias("role"), "rep", "s1", "s2", "text").unionByName(posed.select(key, F.lit(1).alias("role"), "rep", "s1", "s2", "text"))
+    key = F.concat_ws("/", "main", "chunk", "part").alias("key")
+    data = members.join(chunks, "main").withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int")).join(sketches, "rep").withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    posed = asked.join(chunks, "main").join(sketches, "rep").withColumn("part", F.pmod(F.xxhash64("rep", F.lit(5)), F.col("parts")).cast("int")).withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    met = data.select(key, F.lit(0).alias("role"), "rep", "s1", "s2").unionByName(posed.select(key, F.lit(1).alias("role"), "rep", "s1", "s2"))
+
+    def passed(batches):
+        group, ids, bits, hit = None, [], [], None
+        for key, part in grouped_stream(batches, "key"):
+            if key != group:
+                group, ids, bits, hit = key, [], [], None
+            roles, reps = part.column(1).to_numpy(), part.column(2).to_numpy()
+            s = np.stack([part.column(3).to_numpy(), part.column(4).to_numpy()], 1).view(np.uint64)
+            n = int((roles == 0).sum())
+            ids.append(reps[:n])
+            bits.append(s[:n])
+            if n == len(reps) or not sum(map(len, ids)):
+                continue
+            ids, bits = [np.concatenate(ids)], [np.concatenate(bits)]
+            hit = np.zeros(len(ids[0]), bool) if hit is None else hit
+            near = FUNCTIONS - np.bitwise_count(s[n:, None, :] ^ bits[0][None, :, :]).sum(axis=2, dtype=np.int64) >= least
+            own, new = reps[n:][near.any(axis=1)], near.any(axis=0) & ~hit
+            hit |= new
+            found = np.concatenate([ids[0][new], own])
+            role = np.concatenate([np.zeros(int(new.sum()), np.int32), np.ones(len(own), np.int32)])
+            yield pa.record_batch([pa.array([key] * len(found), pa.string()), pa.array(role), pa.array(found)], ["key", "role", "rep"])
+
+    left = map_arrow(by_group(met), passed, "key string, role int, rep long")
+    both = left.join(sketches, "rep").join(texts.dropDuplicates(["id"]).select(F.col("id").alias("rep"), "text"), "rep").select("key", "role", "rep", "s1", "s2", "text")
 
     def work(batches):
         group, ids, bits, held = None, [], [], []
@@ -304,11 +344,15 @@ def _to_main(outside: DataFrame, known: DataFrame, sketches: DataFrame, texts: D
 
 
 def confirm(texts: DataFrame, pairs: DataFrame, k: int, threshold: float) -> DataFrame:
-    """The pairs (x, y) whose full sets are as similar as asked; ``texts`` are (id, text)."""
+    """The pairs (x, y) whose full sets are as similar as asked; ``texts`` are (id, text). The pairs of one y are dealt to several tasks if they are many."""
     of100 = round(threshold * 100)
+    pairs = pairs.select("x", "y").distinct()
+    many = pairs.groupBy("y").agg(F.ceil(F.count("*") / PAIRS_AT_ONCE).cast("int").alias("parts")).where("parts > 1")
+    parts = F.coalesce("parts", F.lit(1))
     x = texts.select(F.col("id").alias("x"), F.col("text").alias("tx"))
-    y = texts.select(F.col("id").alias("y"), F.col("text").alias("ty"))
-    both = pairs.select("x", "y").distinct().join(x, "x").join(y, "y").select("x", "y", "tx", "ty")
+    y = texts.select(F.col("id").alias("y"), F.col("text").alias("ty")).join(many, "y", "left").select("y", "ty", F.explode(F.sequence(F.lit(0), parts - 1)).alias("part"))
+    dealt = pairs.join(many, "y", "left").select("x", "y", F.pmod(F.xxhash64("x"), parts).cast("int").alias("part"))
+    both = dealt.join(x, "x").join(y, ["y", "part"]).select("x", "y", "tx", "ty")
 
     def work(batches):
         for batch in batches:
@@ -345,51 +389,49 @@ def _blocks(rows: DataFrame) -> DataFrame:
     return dealt.withColumn("node", F.xxhash64("node", F.least("own", "other"), F.greatest("own", "other")))
 
 
-def classes_of(docs: DataFrame, k: int, threshold: float = 0.8, trees: int = TREES) -> tuple[DataFrame, DataFrame, DataFrame]:
+def classes_of(docs: DataFrame, k: int, threshold: float = 0.8, trees: int | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
     """The survey of all rows, (fp, rep) of each class of equal sets, and (vertex, component) of classes with links."""
-    surveyed = materialize(survey(docs, k, trees), "sets")
-    n_rows, least = surveyed.count(), least_matches(threshold)
+    surveyed = materialize(survey(docs, k, trees or trees_for(threshold)), "sets")
+    least = least_matches(threshold)
     some = surveyed.where("n_shingles > 0 and doc_id is not null")
     classes = some.groupBy("fp").agg(F.min("doc_id").alias("rep"), *(F.any_value(c).alias(c) for c in ("s1", "s2")))
     firsts = some.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.any_value("nodes").alias("nodes"))
-    met = materialize(_counted(firsts.select("rep", F.explode("nodes").alias("node")).distinct()), "nodes", 4 * n_rows)
-    n_met = met.count()
+    met = materialize(_counted(firsts.select("rep", F.explode("nodes").alias("node")).distinct()), "nodes")
     sketches = classes.select("rep", "s1", "s2")
     rows = met.join(sketches, "rep")
     small, large = rows.where(F.col("n") <= LEAF), rows.where(F.col("n") > LEAF)
 
-    first = materialize(_leaves(small, least, later=False).unionByName(_stars(large, least)).distinct(), "firstlinks", n_met)
-    n_links = first.count()
+    first = materialize(_leaves(small, least, later=False).unionByName(_stars(large, least)).distinct(), "firstlinks")
     pairs = first.where("kind = 0").select("x", "y")
 
     involved = pairs.select(F.col("x").alias("id")).unionByName(pairs.select(F.col("y").alias("id"))).unionByName(met.where(F.col("n") > LEAF).select(F.col("rep").alias("id"))).distinct()
-    texts = materialize(docs.select(docs["doc_id"].cast("long").alias("id"), text_column(docs).alias("text")).join(involved, "id"), "texts", 4 * n_rows)
-    good = materialize(confirm(texts, pairs, k, threshold), "goodlinks", 10 * n_links)
-    known = materialize(components(good, n_links), "known", n_links)
+    texts = materialize(docs.select(docs["doc_id"].cast("long").alias("id"), text_column(docs).alias("text")).join(involved, "id"), "texts")
+    good = materialize(confirm(texts, pairs, k, threshold), "goodlinks")
+    known = materialize(components(good), "known")
 
     labelled = rows.join(known.withColumnRenamed("vertex", "rep"), "rep", "left").withColumn("comp", F.coalesce("component", "rep")).drop("component")
     open_nodes = first.where("kind = 2").select(F.col("x").alias("node"))
     found = [_leaves(_across(labelled.where(F.col("n") <= LEAF).join(open_nodes, "node", "left_semi")), least, later=True)]
-    outside = materialize(_outsiders(_across(labelled.where(F.col("n") > LEAF))), "outsiders", n_met)
+    outside = materialize(_outsiders(_across(labelled.where(F.col("n") > LEAF))), "outsiders")
     joined = None
     if not outside.isEmpty():
         joined = _to_main(outside, known, sketches, texts, k, threshold, least)
-        left = materialize(_across(_counted(outside.select("node", "rep", "s1", "s2", "comp"))), "left", n_met)
+        left = materialize(_across(_counted(outside.select("node", "rep", "s1", "s2", "comp"))), "left")
         found.append(_leaves(left.where(F.col("n") <= LEAF), least, later=True))
         found.append(_leaves(_blocks(left.where(F.col("n") > LEAF)), least, later=True, once=False))
     later = found[0]
     for f in found[1:]:
         later = later.unionByName(f)
-    later = materialize(later.where("kind = 0").select("x", "y").distinct().join(pairs, ["x", "y"], "left_anti"), "laterlinks", n_met)
+    later = materialize(later.where("kind = 0").select("x", "y").distinct().join(pairs, ["x", "y"], "left_anti"), "laterlinks")
     new = joined
     if not later.isEmpty():
         more = confirm(texts, later, k, threshold)
         new = more if new is None else new.unionByName(more)
-    linked = known if new is None else extend(known, new, n_links)
+    linked = known if new is None else extend(known, new)
     return surveyed, firsts.select("fp", "rep"), linked
 
 
-def near_duplicates(docs: DataFrame, k: int = 5, threshold: float = 0.8, trees: int = TREES) -> DataFrame:
+def near_duplicates(docs: DataFrame, k: int = 5, threshold: float = 0.8, trees: int | None = None) -> DataFrame:
     """doc_id, n_shingles, component_id and kept of each row."""
     surveyed, firsts, linked = classes_of(docs, k, threshold, trees)
     rows = surveyed.select("doc_id", "n_shingles", "fp").join(firsts, "fp", "left").join(linked.withColumnRenamed("vertex", "rep"), "rep", "left")
@@ -398,8 +440,10 @@ def near_duplicates(docs: DataFrame, k: int = 5, threshold: float = 0.8, trees:
 
 
 def drop_near_duplicates(docs: DataFrame, k: int = 5, threshold: float = 0.8) -> DataFrame:
-    """``docs`` with one document of each group of near-duplicates, all columns kept; rows without an id stay."""
+    """``docs`` with one document of each group of near-duplicates, all columns kept; rows without an id stay. Of rows that share
+    an id, which are one document, the one whose text has the least hash stays."""
     found = near_duplicates(docs, k, threshold)
     stay = found.where("kept and doc_id is not null").select(F.col("doc_id").alias("_id")).distinct()
-    named = docs.join(stay, docs["doc_id"].cast("long") == stay["_id"]).drop("_id").dropDuplicates(["doc_id"])
+    row, text = F.struct(*[docs[c] for c in docs.columns]), text_column(docs)
+    named = docs.join(stay, docs["doc_id"].cast("long") == stay["_id"]).groupBy("_id").agg(F.min_by(row, F.struct(F.xxhash64(text), text)).alias("_row")).select("_row.*")
     return named.unionByName(docs.where(docs["doc_id"].isNull()))
