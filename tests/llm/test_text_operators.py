@@ -123,7 +123,11 @@ def brute_repeats(rows, width):
     return out
 
 
-def test_repeated_passages_against_brute_force(spark):
+@pytest.mark.parametrize("most", [None, 3])
+def test_repeated_passages_against_brute_force(spark, monkeypatch, most):
+    if most:
+        monkeypatch.setattr(substring_dedup, "PIECES_AT_A_SHARD", most)
+        monkeypatch.setattr(substring_dedup, "SOURCES_AT_A_SHARD", most - 1)
     rng = random.Random(3)
     words = [f"w{i}" for i in range(6)]
     passages = [[rng.choice(words) for _ in range(rng.randint(5, 30))] for _ in range(4)]

@@ -11,8 +11,8 @@ somewhere in a document of smaller id; windows are judged on the input. The step
 4. Passages are dealt into shards by anchor. Each shard compiles an Aho-Corasick automaton over word numbers: a passage enters as
    blocks of half a window, of which every window holds at least one.
 5. The pieces of candidate documents around these anchors stream through the shard; each block found is extended word by word,
-   and what reaches a window's length in an earlier document is marked. Anchors with many pieces get several copies of
-   their shard, among which the pieces are dealt; no piece is dropped.
+   and what reaches a window's length in an earlier document is marked. Passages of a frequent anchor are dealt into splits and its pieces
+   into parts, and every two of them meet in one shard; nothing is dropped.
 
 Hashes choose what is compared; a mark itself rests on equal words.
 
@@ -35,7 +35,7 @@ from .common import map_arrow, materialize, partitions_for, text_column
 
 WIDTH, GRAM = 50, 10
 SHARD_WORDS = 400_000
-PIECES_AT_A_SHARD = 20_000
+PIECES_AT_A_SHARD = SOURCES_AT_A_SHARD = 2_000
 
 _BASES = (np.uint64(0x9E3779B97F4A7C15 | 1), np.uint64(0xD6E8FEB86659FD93 | 1))
 
@@ -264,19 +264,23 @@ class PassageAutomaton:
         return merged
 
 
-def _located(sources: DataFrame, targets: DataFrame, width: int) -> DataFrame:
+def _located(candidates: DataFrame, sources: DataFrame, targets: DataFrame, width: int) -> DataFrame:
     """(doc_id, k, start, stop): spans of documents that passages of earlier documents cover."""
     spark = sources.sparkSession
     n_words = sources.agg(F.sum(F.octet_length("content"))).first()[0] or 0
     shards = max(partitions_for(spark), int(n_words // (6 * SHARD_WORDS)) + 1)
     shard = F.pmod(F.xxhash64("a"), F.lit(shards))
     per = F.lit(PIECES_AT_A_SHARD)
-    # An anchor with many pieces gets copies of its passages: one for each part that its pieces are dealt to.
-    copies = targets.where(F.col("n") > per).groupBy("a").agg(F.ceil(F.max("n") / per).cast("int").alias("parts"))
-    dealt = sources.join(copies, "a", "left").select("a", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1)).alias("part"), F.lit(0).alias("role"), "doc_id", F.lit(0).cast("long").alias("k"), "start", "content")
+    # Passages of an anchor are dealt into splits and its pieces into parts; every two of them meet in one place.
+    splits = sources.groupBy("a").agg(F.ceil(F.count("*") / SOURCES_AT_A_SHARD).cast("int").alias("splits")).where("splits > 1")
+    copies = candidates.select(F.explode("recurring").alias("r")).where(F.col("r.n") > per).select("r.a", F.ceil(F.col("r.n") / per).cast("int").alias("parts")).distinct()
+    all_of = lambda n: F.explode(F.sequence(F.lit(0), F.coalesce(n, F.lit(1)) - 1))
+    place = F.pmod(F.xxhash64("doc_id", "start"), F.coalesce("splits", F.lit(1))).cast("int")
+    dealt = sources.join(copies, "a", "left").join(splits, "a", "left").withColumn("split", place)
+    dealt = dealt.select("a", "split", all_of("parts").alias("part"), F.lit(0).alias("role"), "doc_id", F.lit(0).cast("long").alias("k"), "start", "content")
     part = F.when(F.col("n") > per, F.pmod(F.xxhash64("doc_id", "start"), F.ceil(F.col("n") / per)).cast("int")).otherwise(0)
-    stream = targets.select("a", part.alias("part"), F.lit(1).alias("role"), "doc_id", "k", "start", "content")
-    both = dealt.unionByName(stream).withColumn("shard", F.xxhash64(shard, "part"))
+    stream = targets.join(splits, "a", "left").select("a", all_of("splits").alias("split"), part.alias("part"), F.lit(1).alias("role"), "doc_id", "k", "start", "content")
+    both = dealt.unionByName(stream).withColumn("shard", F.xxhash64(shard, "split", "part"))
     both = both.repartition(shards, "shard").sortWithinPartitions("shard", "role")
 
     def work(batches):
@@ -327,7 +331,7 @@ def removal_plan(docs: DataFrame, width: int = WIDTH, gram: int = GRAM) -> tuple
     surveyed = materialize(survey(docs, width, gram), "survey")
     candidates = _candidates(docs, surveyed)
     sources = materialize(_source_pieces(candidates, _confirmed(candidates, width, gram), width), "passages")
-    spans = _located(sources, _target_pieces(candidates, width, gram), width)
+    spans = _located(candidates, sources, _target_pieces(candidates, width, gram), width)
     cut = _kept(candidates, spans)
     first = surveyed.where("doc_id is not null").groupBy("key").agg(F.min("doc_id").alias("first_id"))
     return surveyed, first, cut
