@@ -25,7 +25,7 @@ import re
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_column
+from .common import materialize, text_column
 from .url_filter import LOWER, UPPER
 
 #: Public licence passages, each with the term that it is anchored at.
@@ -153,7 +153,7 @@ def scan(files: DataFrame, threshold: float = THRESHOLD, file_share: float = FIL
     """For ``files`` (row_id, path, text): row_id, path, license, origin (own or inherited), score, n_notices."""
     text = text_column(files)
     hashes = (F.xxhash64(F.lit(1), text).alias("h1"), F.xxhash64(F.lit(2), text).alias("h2"))
-    found = notices(files.select(*hashes, _lower(text).alias("lower")), threshold)
+    found = materialize(notices(files.select(*hashes, _lower(text).alias("lower")), threshold), "notices")  # small, and read three times
     covered = found.select("h1", "h2", F.explode(F.sequence("start", F.col("start") + F.col("n") - 1)).alias("at")).distinct().groupBy("h1", "h2").agg(F.count("*").alias("covered"))
     own = found.groupBy("h1", "h2").agg(F.min(F.struct((-F.col("score")).alias("s"), "license", "place")).alias("b"), F.count("*").alias("n_notices"), F.any_value("n_terms").alias("n_terms"))
     own = own.join(covered, ["h1", "h2"]).select("h1", "h2", F.col("b.license").alias("own"), (-F.col("b.s")).alias("score"), "n_notices", (F.col("covered") >= F.col("n_terms") * file_share).alias("whole"))
