@@ -291,6 +291,13 @@ def brute_losses(rows, targets):
     return out
 
 
+def test_packed_numbers():
+    for values in ([], [0], [5, 5, 2**64 - 1], sorted(random.Random(1).randrange(2**64) for _ in range(500))):
+        assert language_model.unpack_sorted(language_model.pack_sorted(np.array(values, np.uint64))).tolist() == values
+    counts = np.array([0, 1, 254, 255, 256, 2**40])
+    assert language_model.unpack_counts(language_model.pack_counts(counts), 6).tolist() == counts.tolist()
+
+
 @pytest.mark.parametrize("group_bytes", [language_model.GROUP_BYTES, 900])
 def test_cross_entropy_difference_against_brute_force(spark, texts, group_bytes):
     rows = [(d, t[:400]) for d, t in texts[:25]] + [(900, None), (901, ""), (902, "\u00ff"), (903, "One, two. one TWO!"), (904, "one two one two"), (None, "one"), (None, "one"), (texts[1][0], "a row that shares its id"), (905, "word " * 3000)]

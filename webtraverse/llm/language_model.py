@@ -71,11 +71,9 @@ class Tokens:
         n = len(self.grams)
         return (np.bincount(self.single, w, n) + np.bincount(self.pair, w, n)).astype(np.int64)
 
-    def dealt(self, buckets: int) -> tuple[np.ndarray, np.ndarray]:
-        """The order of n-grams by bucket, and where each bucket begins."""
-        bucket = (self.grams >> np.uint64(1)) % np.uint64(buckets)
-        order = np.argsort(bucket, kind="stable")
-        return order, np.searchsorted(bucket[order], np.arange(buckets + 1, dtype=np.uint64))
+    def dealt(self, buckets: int) -> np.ndarray:
+        """Where the n-grams of each bucket, a range of hashes, begin."""
+        return np.concatenate([np.searchsorted(self.grams, _bounds(buckets)), [len(self.grams)]])
 
     def own(self, which: np.ndarray) -> np.ndarray:
         """For each token, how often its document holds the same n-gram."""
@@ -106,7 +104,6 @@ def _wanted(table: pa.Table) -> tuple[pa.Table, np.ndarray]:
     return docs, np.array([d is not None and d in ids for d in docs["doc_id"].to_pylist()], dtype=bool)
 
 
-#: Lists of numbers travel as little-endian 64-bit integers.
 POSTINGS = "bucket long, grp long, gram binary, background binary, target binary"
 SUMS = "grp long, bucket long, background binary, target binary, kinds long, all_background long, all_target long"
 
@@ -115,24 +112,54 @@ def _names(schema: str) -> list[str]:
     return [c.split()[0] for c in schema.split(", ")]
 
 
-def _packed(values: np.ndarray, cuts: np.ndarray) -> pa.Array:
-    data, ends = np.ascontiguousarray(values, "<i8").tobytes(), (8 * cuts).tolist()
-    return pa.array([data[i:j] for i, j in zip(ends[:-1], ends[1:])], pa.binary())
+def _bounds(buckets: int) -> np.ndarray:
+    return np.array([(b << 64) // buckets for b in range(buckets)], dtype=np.uint64)
 
 
-def _unpacked(column: pa.ChunkedArray) -> list[np.ndarray]:
-    return [np.frombuffer(x.as_buffer(), "<i8") for x in column]
+def pack_sorted(values: np.ndarray) -> bytes:
+    """Ascending 64-bit numbers as steps of as many bytes as the longest one needs."""
+    steps = np.diff(values, prepend=np.uint64(0))
+    width = max(1, -(-int(steps.max(initial=0)).bit_length() // 8))
+    return bytes([width]) + steps.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :width].tobytes()
+
+
+def unpack_sorted(data: bytes) -> np.ndarray:
+    width = data[0]
+    short = np.frombuffer(data, np.uint8, offset=1).reshape(-1, width)
+    steps = np.zeros((len(short), 8), np.uint8)
+    steps[:, :width] = short
+    return np.cumsum(steps.view("<u8").ravel(), dtype=np.uint64)
+
+
+def pack_counts(values: np.ndarray) -> bytes:
+    """Numbers of which most are small: a byte each, and eight more behind for those that don't fit."""
+    large = values >= 255
+    return np.where(large, 255, values).astype(np.uint8).tobytes() + values[large].astype("<i8").tobytes()
+
+
+def unpack_counts(data: bytes, n: int) -> np.ndarray:
+    out = np.frombuffer(data, np.uint8, n).astype(np.int64)
+    out[out == 255] = np.frombuffer(data, "<i8", offset=n)
+    return out
+
+
+def _slices(pack, values: np.ndarray, cuts: np.ndarray) -> pa.Array:
+    return pa.array([pack(values[i:j]) for i, j in zip(cuts[:-1].tolist(), cuts[1:].tolist())], pa.binary())
 
 
 def add_up(table: pa.Table) -> pa.Table:
     """The postings of a bucket: the sums of each n-gram, given back to each group in the order in which it named them."""
-    grams = _unpacked(table["gram"])
-    cuts = np.cumsum([0, *map(len, grams)])
+    grams = [unpack_sorted(x) for x in table["gram"].to_pylist()]
+    sizes = [len(g) for g in grams]
+    cuts = np.cumsum([0, *sizes])
     kinds, which = np.unique(np.concatenate(grams), return_inverse=True)
-    sums = [np.bincount(which, np.concatenate(_unpacked(table[c])).astype(np.float64), len(kinds)).astype(np.int64) for c in ("background", "target")]
-    word = kinds & 1 == 0
+    sums = []
+    for column in ("background", "target"):
+        own = np.concatenate([unpack_counts(x, n) for x, n in zip(table[column].to_pylist(), sizes)])
+        sums.append(np.bincount(which, own.astype(np.float64), len(kinds)).astype(np.int64))
+    word = kinds & np.uint64(1) == 0
     totals = [pa.array(np.full(table.num_rows, x, np.int64)) for x in (word.sum(), sums[0][word].sum(), sums[1][word].sum())]
-    return pa.table([table["grp"], table["bucket"], _packed(sums[0][which], cuts), _packed(sums[1][which], cuts), *totals], _names(SUMS))
+    return pa.table([table["grp"], table["bucket"], *(_slices(pack_counts, x[which], cuts) for x in sums), *totals], _names(SUMS))
 
 
 def cross_entropy_difference(docs: DataFrame, targets: DataFrame, group_bytes: int = GROUP_BYTES) -> DataFrame:
@@ -150,23 +177,19 @@ def cross_entropy_difference(docs: DataFrame, targets: DataFrame, group_bytes: i
     def send(table: pa.Table) -> pa.Table:
         own, wanted = _wanted(table)
         tokens = Tokens(own["text"].to_pylist())
-        order, cuts = tokens.dealt(groups)
-        columns = (tokens.grams.view(np.int64), tokens.counts(np.ones(len(wanted))), tokens.counts(wanted))
+        cuts = tokens.dealt(groups)
+        counts = (_slices(pack_counts, tokens.counts(weight), cuts) for weight in (np.ones(len(wanted)), wanted))
         name = np.full(groups, table["grp"][0].as_py(), np.int64)
-        return pa.table([pa.array(np.arange(groups, dtype=np.int64)), pa.array(name), *(_packed(c[order], cuts) for c in columns)], _names(POSTINGS))
+        return pa.table([pa.array(np.arange(groups, dtype=np.int64)), pa.array(name), _slices(pack_sorted, tokens.grams, cuts), *counts], _names(POSTINGS))
 
     def score(table: pa.Table, sums: pa.Table) -> pa.Table:
         own, wanted = _wanted(table)
         tokens = Tokens(own["text"].to_pylist())
-        order, cuts = tokens.dealt(groups)
+        sizes = np.diff(tokens.dealt(groups)).tolist()
         sums = sums.sort_by("bucket")
         if sums["bucket"].to_pylist() != list(range(groups)):
             raise RuntimeError("a group has not heard from every bucket")
-        counts = []
-        for column in ("background", "target"):
-            got = np.empty(len(order), np.int64)
-            got[order] = np.concatenate(_unpacked(sums[column]))
-            counts.append(got)
+        counts = [np.concatenate([unpack_counts(x, n) for x, n in zip(sums[c].to_pylist(), sizes)]) for c in ("background", "target")]
         kinds, n_background, n_target = (sum(sums[c].to_pylist()) for c in ("kinds", "all_background", "all_target"))
         target = tokens.losses(counts[1], n_target, kinds, 1.0, wanted)
         background = tokens.losses(counts[0], n_background, kinds, n_target / max(n_background, 1), np.ones(len(wanted), bool))
