@@ -49,6 +49,19 @@ def place_draws(s: Column, p: Column, o: Column, seed: int) -> tuple[Column, Col
     return uniform(s, p, o, seed, 48271), uniform(s, p, o, seed, 69621)
 
 
-def seeded(seed: int, *parts: Column) -> Column:
-    """A draw from [0, 1) that survives repartitioning and retries."""
-    return F.pmod(F.xxhash64(F.lit(seed), *parts), F.lit(1 << 52)) / float(1 << 52)
+def draw(seed: int, uri: int) -> float:
+    """A draw from [0, 1) that depends on the URI and the seed alone; the same in Python, Spark and SQL."""
+    h = ((uri % MODULUS) * 48271 + (seed + 1) * 69621) % MODULUS
+    return ((h * h + 7919 * h + 1) % MODULUS) / MODULUS
+
+
+def seeded(seed: int, uri: Column) -> Column:
+    """``draw`` as a column; it survives repartitioning and retries."""
+    m = F.lit(MODULUS)
+    h = ((uri % m) * 48271 + (seed + 1) * 69621) % m
+    return ((h * h + h * 7919 + 1) % m) / m
+
+
+def draw_sql(seed: int, uri: str) -> str:
+    h = f"((({uri} % {MODULUS}) * 48271 + {(seed + 1) * 69621}) % {MODULUS})"
+    return f"(({h} * {h} + 7919 * {h} + 1) % {MODULUS}) / {MODULUS}"

@@ -9,28 +9,55 @@ from pyspark.sql import functions as F
 from .linkgraph import diameter, rcc, strong_components
 
 
+BUCKET = 4_096
+
+
+def solution_curve(found: DataFrame, by: tuple[str, ...] = (), bucket: int = BUCKET) -> DataFrame:
+    """(t_avail, n, before, all_n): how many solutions come at each time, and how many came before it.
+
+    Sums are taken within buckets of time and over the buckets before, so that no task orders more than a bucket's times, or all buckets.
+    """
+    counted = found.groupBy(*by, "t_avail").agg(F.count("*").alias("n")).withColumn("_b", F.floor(F.col("t_avail") / bucket))
+    earlier = W.partitionBy(*(by or [F.lit(0)])).orderBy("_b").rowsBetween(W.unboundedPreceding, -1)
+    sums = counted.groupBy(*by, "_b").agg(F.sum("n").alias("_n"), F.max("t_avail").alias("_last"))
+    sums = sums.select(*by, "_b", F.coalesce(F.sum("_n").over(earlier), F.lit(0)).alias("_before"), F.sum("_n").over(W.partitionBy(*(by or [F.lit(0)]))).alias("all_n"), F.max("_last").over(earlier).alias("_last"))
+    inside = W.partitionBy(*by, "_b").orderBy("t_avail")
+    own = counted.join(sums, [*by, "_b"]).withColumn("before", F.col("_before") + F.coalesce(F.sum("n").over(inside.rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
+    return own.withColumn("previous", F.coalesce(F.lag("t_avail").over(inside), "_last")).select(*by, "t_avail", "n", "before", "all_n", "previous")
+
+
 def response_times(found: DataFrame, n_docs: int | DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """Times of the first, the median and the last solution, and their shares of the whole; no row where there is no solution.
 
     ``found`` has ``t_avail``; the median is the solution number ceil(S / 2).
     """
-    counted = found.groupBy(*by, "t_avail").agg(F.count("*").alias("n"))
-    upto = W.partitionBy(*by).orderBy("t_avail") if by else W.partitionBy(F.lit(0)).orderBy("t_avail")
-    whole = W.partitionBy(*by) if by else W.partitionBy(F.lit(0))
-    curve = counted.withColumn("upto", F.sum("n").over(upto)).withColumn("all_n", F.sum("n").over(whole))
-    out = curve.groupBy(*by).agg(
-        F.max("all_n").alias("n_solutions"), F.min("t_avail").alias("t_first"), F.min(F.when(F.col("upto") * 2 >= F.col("all_n"), F.col("t_avail"))).alias("t_half"), F.max("t_avail").alias("t_last")
-    ).where("n_solutions > 0")
+    curve = solution_curve(found, by)
+    half = F.min(F.when((F.col("before") + F.col("n")) * 2 >= F.col("all_n"), F.col("t_avail")))
+    out = curve.groupBy(*by).agg(F.max("all_n").alias("n_solutions"), F.min("t_avail").alias("t_first"), half.alias("t_half"), F.max("t_avail").alias("t_last")).where("n_solutions > 0")
     out = out.join(n_docs, list(by)) if by else out.crossJoin(F.broadcast(n_docs)) if isinstance(n_docs, DataFrame) else out.withColumn("n_docs", F.lit(n_docs).cast("long"))
     return out.withColumns({"relRT1st": F.col("t_first") / F.col("n_docs"), "relRT50": F.col("t_half") / F.col("n_docs"), "relRTCmpl": F.col("t_last") / F.col("n_docs")})
 
 
 def response_curve(found: DataFrame, fractions: list[float]) -> DataFrame:
     """(fraction, t): when each share of the solutions existed."""
-    counted = found.groupBy("t_avail").agg(F.count("*").alias("n"))
-    curve = counted.withColumn("upto", F.sum("n").over(W.partitionBy(F.lit(0)).orderBy("t_avail"))).withColumn("all_n", F.sum("n").over(W.partitionBy(F.lit(0))))
     asked = F.explode(F.array(*map(F.lit, fractions))).alias("fraction")
-    return curve.select("*", asked).where(F.col("upto") >= F.ceil(F.col("fraction") * F.col("all_n"))).groupBy("fraction").agg(F.min("t_avail").alias("t"))
+    return solution_curve(found).select("*", asked).where(F.col("before") + F.col("n") >= F.ceil(F.col("fraction") * F.col("all_n"))).groupBy("fraction").agg(F.min("t_avail").alias("t"))
+
+
+def kth_solution(found: DataFrame, wanted: tuple[int, ...]) -> DataFrame:
+    """(k, t_avail): when the k-th solution existed, for each ``wanted`` k that there is."""
+    asked = F.explode(F.array(*map(F.lit, wanted))).alias("k")
+    return solution_curve(found).select("*", asked).where((F.col("before") < F.col("k")) & (F.col("k") <= F.col("before") + F.col("n"))).select("k", "t_avail")
+
+
+def tiles(found: DataFrame, n_tiles: int = 4) -> DataFrame:
+    """(tile, t_from, t_to, n): solutions in order of time, cut into parts of sizes that differ by one at most, larger ones first."""
+    tile, small, more = F.col("tile"), F.expr(f"all_n div {n_tiles}"), F.col("all_n") % n_tiles
+    last = tile * small + F.least(tile, more)
+    first = (tile - 1) * small + F.least(tile - 1, more) + 1
+    cut = solution_curve(found).select("*", F.explode(F.sequence(F.lit(1), F.lit(n_tiles))).alias("tile"))
+    part = F.least(F.col("before") + F.col("n"), last) - F.greatest(F.col("before") + 1, first) + 1
+    return cut.withColumn("part", part).where("part > 0").groupBy("tile").agg(F.min("t_avail").alias("t_from"), F.max("t_avail").alias("t_to"), F.sum("part").alias("n"))
 
 
 def aggregate_runs(metrics: DataFrame, by: tuple[str, ...], measures=("relRT1st", "relRT50", "relRTCmpl")) -> DataFrame:

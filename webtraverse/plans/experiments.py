@@ -17,7 +17,9 @@ from .approaches import APPROACHES, LITERAL_HYBRIDS, Arrival
 from .query import WORKLOAD, ConjunctiveQuery
 from .simulate import SubWeb, cell, response_times
 
-MOST_TRIPLES = 2_000_000
+MOST_DOCUMENTS = 2_000_000
+#: A subweb is sent to at most so many tasks, each of which runs its share of the plans over it.
+LANES = 4
 RESULT = (
     "web_id string, query string, approach string, routing string, run int, n_docs long, n_solutions long, t_first long, t_half long, t_last long, "
     "relRT1st double, relRT50 double, relRTCmpl double, routed long, priority_changes long, attempted long"
@@ -47,34 +49,43 @@ def reach_cells(web: DataFrame, names: DataFrame, queries: list[ConjunctiveQuery
 
 
 def run_cells(web: DataFrame, reached: DataFrame, plans: list[tuple[str, str, str, int]]) -> DataFrame:
-    """Simulate ``plans`` (query, approach, routing, run) on each web; a task holds one cell and one approach."""
+    """Simulate ``plans`` (query, approach, routing, run) on each web; a task holds one subweb and runs a share of the plans over it, one after another."""
     spark = web.sparkSession
     ship_package(spark)
-    asked = spark.createDataFrame(plans, "query string, approach string, routing string, run int")
+    lanes = {name: min(LANES, sum(p[0] == name for p in plans)) for name in {p[0] for p in plans}}
+    shares = {(name, i): [p[1:] for p in plans if p[0] == name][i::n] for name, n in lanes.items() for i in range(n)}
+    asked = spark.createDataFrame(sorted(shares), "query string, lane int")
     sizes = reached.groupBy("web_id", "query").agg(F.count("*").alias("n"))
-    too_large = sizes.where(F.col("n") > MOST_TRIPLES).limit(1).collect()
+    too_large = sizes.where(F.col("n") > MOST_DOCUMENTS).limit(1).collect()
     if too_large:
         raise ValueError(f"{too_large[0]} is too large for a cell; take plans.rounds")
     held = reached.join(web.select("web_id", "doc", "s", "p", "o"), ["web_id", "doc"], "left")
     rows = held.join(F.broadcast(asked), "query")
 
     def simulate(key, frame: pd.DataFrame) -> pd.DataFrame:
-        web_id, name, approach, routing, run = key
-        documents: dict[int, list] = {int(d): [] for d in frame["doc"].unique()}
-        for d, s, p, o in frame[frame["s"].notna()][["doc", "s", "p", "o"]].astype("int64").itertuples(index=False):
-            documents[d].append((s, p, o))
-        for d in documents:
-            documents[d].sort()
-        known = APPROACHES | LITERAL_HYBRIDS
-        route = Routing.static(map(int, routing[7:].split("_"))) if routing.startswith("static_") else Routing(routing, seed=run if routing == "uniform" else None)
-        got = cell(SubWeb(documents), WORKLOAD[name], known[approach], route, seed=int(run))
-        times = sorted(t for _, t, _ in got.solutions)
-        rt = response_times(got)
-        three = (times[0], times[(len(times) + 1) // 2 - 1], times[-1]) if times else (None, None, None)
-        ratios = (rt["relRT1st"], rt["relRT50"], rt["relRTCmpl"]) if rt else (None, None, None)
-        return pd.DataFrame([(web_id, name, approach, routing, run, len(got.trace), len(times), *three, *ratios, got.routed, got.priority_changes, got.attempted)], columns=[c.split()[0] for c in RESULT.split(", ")])
-
-    return rows.groupBy("web_id", "query", "approach", "routing", "run").applyInPandas(simulate, RESULT)
+        web_id, name, lane = key
+        held, known, out = SubWeb(_documents(frame)), APPROACHES | LITERAL_HYBRIDS, []
+        for approach, routing, run in shares[name, lane]:
+            route = Routing.static(map(int, routing[7:].split("_"))) if routing.startswith("static_") else Routing(routing, seed=run if routing == "uniform" else None)
+            got = cell(held, WORKLOAD[name], known[approach], route, seed=int(run))
+            times = sorted(t for _, t, _ in got.solutions)
+            rt = response_times(got)
+            three = (times[0], times[(len(times) + 1) // 2 - 1], times[-1]) if times else (None, None, None)
+            ratios = (rt["relRT1st"], rt["relRT50"], rt["relRTCmpl"]) if rt else (None, None, None)
+            out.append((web_id, name, approach, routing, run, len(got.trace), len(times), *three, *ratios, got.routed, got.priority_changes, got.attempted))
+        return pd.DataFrame(out, columns=[c.split()[0] for c in RESULT.split(", ")])
+
+    return rows.groupBy("web_id", "query", "lane").applyInPandas(simulate, RESULT)
+
+
+def _documents(frame: pd.DataFrame) -> dict[int, list]:
+    """The triples of each document in scanning order."""
+    documents: dict[int, list] = {int(d): [] for d in frame["doc"].unique()}
+    for d, s, p, o in frame[frame["s"].notna()][["doc", "s", "p", "o"]].astype("int64").itertuples(index=False):
+        documents[d].append((s, p, o))
+    for d in documents:
+        documents[d].sort()
+    return documents
 
 
 def grid(spark: SparkSession, sf_dir: str, queries=("q2",), webs=testweb.WEBS, approaches=tuple(APPROACHES), routings=("lr_mi",), runs: int = 1) -> DataFrame:
@@ -98,23 +109,22 @@ TRACE = "web_id string, query string, approach string, rank long, doc long, solu
 def traces(web: DataFrame, reached: DataFrame, query: str, approaches) -> DataFrame:
     """(web_id, query, approach, rank, doc, solutions): the order of lookups, and how many solutions exist after each."""
     ship_package(web.sparkSession)
-    asked = web.sparkSession.createDataFrame([(a,) for a in approaches], "approach string")
+    approaches = tuple(approaches)
+    lanes = min(LANES, len(approaches))
+    asked = web.sparkSession.createDataFrame([(i,) for i in range(lanes)], "lane int")
     held = reached.where(F.col("query") == query).join(web.select("web_id", "doc", "s", "p", "o"), ["web_id", "doc"], "left").join(F.broadcast(asked))
 
     def follow(key, frame: pd.DataFrame) -> pd.DataFrame:
-        web_id, approach = key
-        documents: dict[int, list] = {int(d): [] for d in frame["doc"].unique()}
-        for d, s, p, o in frame[frame["s"].notna()][["doc", "s", "p", "o"]].astype("int64").itertuples(index=False):
-            documents[d].append((s, p, o))
-        for d in documents:
-            documents[d].sort()
-        got = cell(SubWeb(documents), WORKLOAD[query], (APPROACHES | LITERAL_HYBRIDS)[approach])
-        times = pd.Series([t for _, t, _ in got.solutions], dtype="int64").value_counts()
-        ranks = range(1, len(got.trace) + 1)
-        upto = times.reindex(ranks, fill_value=0).cumsum().tolist()
-        return pd.DataFrame({"web_id": web_id, "query": query, "approach": approach, "rank": list(ranks), "doc": got.trace, "solutions": upto})
-
-    return held.groupBy("web_id", "approach").applyInPandas(follow, TRACE)
+        web_id, lane = key
+        held, out = SubWeb(_documents(frame)), []
+        for approach in approaches[lane::lanes]:
+            got = cell(held, WORKLOAD[query], (APPROACHES | LITERAL_HYBRIDS)[approach])
+            times = pd.Series([t for _, t, _ in got.solutions], dtype="int64").value_counts()
+            ranks = range(1, len(got.trace) + 1)
+            out.append(pd.DataFrame({"web_id": web_id, "query": query, "approach": approach, "rank": list(ranks), "doc": got.trace, "solutions": times.reindex(ranks, fill_value=0).cumsum().tolist()}))
+        return pd.concat(out)
+
+    return held.groupBy("web_id", "lane").applyInPandas(follow, TRACE)
 
 
 def routing_names(query: str, static: bool = True) -> tuple[str, ...]:

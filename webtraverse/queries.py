@@ -9,11 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .functions.terms import LITERALS, place_draws
+from .functions.terms import LITERALS, draw_sql, place_draws
 from .operators import construct, linkgraph, metrics, reach
 from .operators.reach import Web
 from .operators.routing import Routing
-from .plans import experiments
+from .plans import experiments, rounds
 from .plans.approaches import APPROACHES, LITERAL_HYBRIDS
 from .plans.query import SIX, WORKLOAD, ConjunctiveQuery, TriplePattern, Var, join_sql, pattern_sql, query
 from .session import durable
@@ -195,7 +195,7 @@ def docs_in_both_webs(spark, sf_dir):
 @register("docs_only_dense", _two(SPARSE, DENSE) + "select doc from b except select doc from a")
 def docs_only_dense(spark, sf_dir):
     base = basegraph.triples(spark, sf_dir, literals=False)
-    return testweb.place(base, DENSE).select("doc").exceptAll(testweb.place(base, SPARSE).select("doc")).distinct().join(testweb.place(base, SPARSE).select("doc"), "doc", "left_anti")
+    return testweb.place(base, DENSE).select("doc").subtract(testweb.place(base, SPARSE).select("doc"))
 
 
 @register("first_doc_per_triple", f"select s, p, o, min(doc) as doc, count(*)::bigint as copies from ({web_sql()}) group by 1, 2, 3")
@@ -341,8 +341,7 @@ for _name in SIX:
         return metrics.response_times(timed(spark, sf_dir, name), n).select("n_docs", "n_solutions", "t_first", "t_half", "t_last")
 
 
-@register("solutions_q7_bag", f"""{ctes('q2').replace(web_sql(), web_sql())}, w7 as (select doc, s, p, o from web), l as materialized ({literal_sql()}),
-e7 as materialized (select distinct src, dst from (select doc as src, s as dst from web where p in (4) or (p = 2 and o = 50) union all select doc, o from web where p in (4) or (p = 2 and o = 50)) where src <> dst and dst in (select uri from ent)),
+@register("solutions_q7_bag", f"""{ctes('q2')}, l as materialized ({literal_sql()}),
 r7 as (select doc from reached)
 select a.s as c, c.s as o, a.doc as d0, a.s as d1, c.doc as d2, c.s as d3 from web a join l b on a.s = b.s and b.p = {LITERALS['c_mktsegment']} and b.o_str = 'BUILDING' and a.s in (select doc from r7)
 join web c on c.o = a.s and c.p = 4 and c.doc in (select doc from r7) join l d on d.s = c.s and d.p = {LITERALS['o_orderstatus']} and d.o_str = 'F' and c.s in (select doc from r7)
@@ -352,7 +351,7 @@ def solutions_q7_bag(spark, sf_dir):
     return construct.solutions(matches_of(spark, sf_dir, "q7"), q).select(*q.variables, *[f"d{i}" for i in range(q.n)])
 
 
-@register("full_web_q4", f"with web as ({LINK_SQL.strip()}), w as (select s as doc, s, p, o from web) select p, l, s, n from ({join_sql(WORKLOAD['q4'], source='w')})")
+@register("full_web_q4", f"with w as materialized (select s as doc, s, p, o from ({LINK_SQL.strip()})) select p, l, s, n from ({join_sql(WORKLOAD['q4'], source='w')})")
 def full_web_q4(spark, sf_dir):
     return construct.full_web(web_of(spark, sf_dir).triples, WORKLOAD["q4"])
 
@@ -439,24 +438,22 @@ def fifo_rank(spark, sf_dir):
 
 @register("solution_curve", f"{solved('q4')} select t::bigint as t_avail, sum(count(*)) over (order by t)::bigint as upto from sol group by t")
 def solution_curve(spark, sf_dir):
-    counted = timed(spark, sf_dir, "q4").groupBy("t_avail").agg(F.count("*").alias("n"))
-    return counted.select("t_avail", F.sum("n").over(W.orderBy("t_avail")).alias("upto"))
+    return metrics.solution_curve(timed(spark, sf_dir, "q4")).select("t_avail", (F.col("before") + F.col("n")).alias("upto"))
 
 
 @register("solution_gaps", f"{solved('q4')} select t::bigint as t_avail, (t - lag(t) over (order by t))::bigint as gap from (select distinct t from sol)")
 def solution_gaps(spark, sf_dir):
-    return timed(spark, sf_dir, "q4").select("t_avail").distinct().select("t_avail", (F.col("t_avail") - F.lag("t_avail").over(W.orderBy("t_avail"))).alias("gap"))
+    return metrics.solution_curve(timed(spark, sf_dir, "q4")).select("t_avail", (F.col("t_avail") - F.col("previous")).alias("gap"))
 
 
 @register("kth_solution", f"{solved('q4')}, o as (select t, row_number() over (order by t) as k from sol) select k::int as k, t::bigint as t_avail from o where k in (1, 10, 100)")
 def kth_solution(spark, sf_dir):
-    k = F.row_number().over(W.orderBy("t_avail"))
-    return timed(spark, sf_dir, "q4").select(k.alias("k"), "t_avail").where(F.col("k").isin(1, 10, 100))
+    return metrics.kth_solution(timed(spark, sf_dir, "q4"), (1, 10, 100))
 
 
 @register("solution_quartiles", f"{solved('q4')} select quartile, min(t)::bigint as t_from, max(t)::bigint as t_to, count(*)::bigint as n from (select t, ntile(4) over (order by t)::int as quartile from sol) group by 1")
 def solution_quartiles(spark, sf_dir):
-    return timed(spark, sf_dir, "q4").withColumn("quartile", F.ntile(4).over(W.orderBy("t_avail"))).groupBy("quartile").agg(F.min("t_avail").alias("t_from"), F.max("t_avail").alias("t_to"), F.count("*").alias("n"))
+    return metrics.tiles(timed(spark, sf_dir, "q4")).withColumnRenamed("tile", "quartile")
 
 
 @register("response_curve_q4", f"{solved('q4')}, o as (select t, row_number() over (order by t) as k, count(*) over () as n from sol), f as (select unnest([0.1, 0.25, 0.5, 0.75, 0.9])::double as fraction) select fraction, min(t)::bigint as t from o, f where k >= ceil(fraction * n) group by 1")
@@ -616,25 +613,89 @@ def _cells(spark, sf_dir, name, approaches, routings=("lr_mi",), webs=(CORPUS_LI
     return _once(spark, ("cells", sf_dir, name, approaches, routings, webs, runs), lambda: durable(experiments.grid(spark, sf_dir, (name,), webs, approaches, routings, runs), "cells"))
 
 
-_SIMULATED = f"{solved('q2')} select '@' as approach, (select count(*) from reached)::bigint as n_docs, (select count(*) from sol)::bigint as n_solutions"
+#: Rank of a queued URI, least first, under the orders that SQL can follow: from the rank of its parent, and what is known of it beforehand.
+ORDERS = {"fifo": "0.0", "depth_first": "r.now.rank - 1", "breadth_first": "r.now.rank + 1", "oracle_rcc": "-x.rcc", "random": "-x.draw"}
+
+
+def ordered(name: str, order: str) -> str:
+    """CTEs that end in run (step, doc): lookups one at a time, with queue and known URIs as lists; and upto (rank, doc, solutions)."""
+    q = WORKLOAD[name]
+    ranks = "".join(f" join run k{i} on k{i}.doc = j.d{i}" for i in range(q.n))
+    t = f"greatest({', '.join(f'k{i}.step' for i in range(q.n))})"
+    seeds = ", ".join(f"({u}, {i})" for i, u in enumerate(q.seeds()))
+    first = {"oracle_rcc": "-coalesce(rcc, 0)::double", "random": f"-({draw_sql(0, 'ent.uri')})"}.get(order, "0.0::double")
+    return f"""{solved(name)},
+said as (select doc, uri, min(row(s, p, o, place)) as k from (select doc, s, p, o, unnest([0, 2]) as place, unnest([s, o]) as uri from seen where {reach.condition_sql(q)}) where uri in (select uri from ent) group by 1, 2),
+told as materialized (select said.doc, list({{'uri': uri, 'rcc': coalesce(rcc.rcc, 0)::double, 'draw': {draw_sql(0, 'uri')}}} order by k) as uris from said left join rcc on rcc.doc = said.uri group by 1),
+start as (select {{'rank': {first}, 'arrival': i::bigint, 'uri': ent.uri}} as x from (values {seeds}) v(uri, i) join ent using (uri) left join rcc on rcc.doc = ent.uri),
+walked(step, now, queue, known) as (
+  select 0::bigint, null::struct(rank double, arrival bigint, uri bigint), list(x), list(x.uri) from start
+  union all
+  select r.step, r.now, list_concat(list_filter(r.queue, lambda y: y.uri <> r.now.uri), list_transform(r.fresh, lambda x, i: {{'rank': ({ORDERS[order]})::double, 'arrival': (1000000 + len(r.known) + i)::bigint, 'uri': x.uri}})), list_concat(r.known, list_transform(r.fresh, lambda x: x.uri))
+  from (select p.step + 1 as step, p.now, p.queue, p.known, list_filter(coalesce(told.uris, []), lambda x: not list_contains(p.known, x.uri)) as fresh
+    from (select step, list_sort(queue)[1] as now, queue, known from walked where len(queue) > 0) p left join told on told.doc = p.now.uri) r),
+run as materialized (select step, now.uri as doc from walked where step > 0),
+times as materialized (select {t} as t from j{ranks}),
+upto as (select step as rank, doc, coalesce((select count(*) from times where t <= step), 0)::bigint as solutions from run)"""
+
+
+def _simulated_sql(approach: str) -> str:
+    if approach in ORDERS:
+        times = "(select min(t) from times)::bigint as t_first, (select quantile_disc(t, 0.5) from times)::bigint as t_half, (select max(t) from times)::bigint as t_last"
+        return f"{ordered('q2', approach)} select '{approach}' as approach, (select count(*) from run)::bigint as n_docs, (select count(*) from times)::bigint as n_solutions, {times}"
+    return f"{solved('q2')} select '{approach}' as approach, (select count(*) from reached)::bigint as n_docs, (select count(*) from sol)::bigint as n_solutions"
+
 
 for _approach in (*APPROACHES, *LITERAL_HYBRIDS):
 
-    @register(f"simulate_{_approach}_q2", _SIMULATED.replace("'@'", f"'{_approach}'"))
+    @register(f"simulate_{_approach}_q2", _simulated_sql(_approach))
     def _simulate(spark, sf_dir, approach=_approach):
-        """Order never changes what is reached nor what is found."""
-        return _cells(spark, sf_dir, "q2", (*APPROACHES, *LITERAL_HYBRIDS)).where(F.col("approach") == approach).select("approach", "n_docs", "n_solutions")
+        """Order never changes what is reached nor what is found; where SQL can follow the order, the times are compared, too."""
+        got = _cells(spark, sf_dir, "q2", (*APPROACHES, *LITERAL_HYBRIDS)).where(F.col("approach") == approach)
+        return got.select("approach", "n_docs", "n_solutions", *(("t_first", "t_half", "t_last") if approach in ORDERS else ()))
 
 
 for _approach in (*APPROACHES, *LITERAL_HYBRIDS):
 
-    @register(f"trace_{_approach}_q2")
+    @register(f"trace_{_approach}_q2", f"{ordered('q2', _approach)} select '{_approach}' as approach, rank, doc, solutions from upto" if _approach in ORDERS else None)
     def _trace(spark, sf_dir, approach=_approach):
         """The exact order of lookups."""
         got = _once(spark, ("traces", sf_dir), lambda: durable(_traces(spark, sf_dir), "traces"))
         return got.where(F.col("approach") == approach).select("approach", "rank", "doc", "solutions")
 
 
+# Traversal in rounds, all state in tables
+
+
+def _rounds(spark, sf_dir, name, approach, batch):
+    def make():
+        got = rounds.traverse(web_of(spark, sf_dir), WORKLOAD[name], APPROACHES[approach], batch)
+        return durable(got.trace, "roundtrace"), durable(got.solutions, "roundsolutions")
+
+    return _once(spark, ("rounds", sf_dir, name, approach, batch), make)
+
+
+for _approach in ("fifo", "oracle_rcc", "indegree", "pagerank", "partial_decay", "rel1", "partial_rcc1"):
+    _q = WORKLOAD["q2"]
+
+    @register(f"rounds_{_approach}_q2", f"{solved('q2')} select {', '.join(_q.variables)}, {', '.join(f'd{i}' for i in range(_q.n))} from j")
+    def _in_rounds(spark, sf_dir, approach=_approach):
+        """Solutions of the distributed traversal, 128 lookups at a time."""
+        q = WORKLOAD["q2"]
+        return _rounds(spark, sf_dir, "q2", approach, 128)[1].select(*q.variables, *[f"d{i}" for i in range(q.n)])
+
+
+@register("rounds_trace_fifo_q2", f"{ordered('q2', 'fifo')} select rank, doc from upto")
+def rounds_trace_fifo_q2(spark, sf_dir):
+    """First come, first served is the same order whatever the batch."""
+    return _rounds(spark, sf_dir, "q2", "fifo", 128)[0].select("rank", "doc")
+
+
+@register("rounds_docs_q2", f"{solved('q2')} select a as approach, doc from reached, (select unnest(['fifo', 'indegree', 'rel1']) as a)")
+def rounds_docs_q2(spark, sf_dir):
+    return reduce(DataFrame.unionByName, [_rounds(spark, sf_dir, "q2", a, 128)[0].select(F.lit(a).alias("approach"), "doc") for a in ("fifo", "indegree", "rel1")])
+
+
 def _traces(spark, sf_dir):
     web = web_of(spark, sf_dir)
     reached = reached_by(spark, sf_dir, "q2").select(F.lit(CORPUS_LIKE.web_id).alias("web_id"), F.lit("q2").alias("query"), "doc")
@@ -700,7 +761,7 @@ def geo_mean_rt(spark, sf_dir):
 @register("routing_policies_q1")
 def routing_policies_q1(spark, sf_dir):
     """All policies and all left-deep plans: what they route differs, response times don't."""
-    return _cells(spark, sf_dir, "q3", ("fifo",), experiments.routing_names("q3", static=False)).select("routing", "routed", "n_solutions", "t_first", "t_last")
+    return _cells(spark, sf_dir, "q1", ("fifo",), experiments.routing_names("q1")).select("routing", "routed", "n_solutions", "t_first", "t_last")
 
 
 @register("routing_by_approach_q2")
