@@ -541,13 +541,27 @@ def pagerank_q2(spark, sf_dir):
     return linkgraph.pagerank(durable(reached_links(spark, sf_dir, "q2"), "links"), rounds=5, tolerance=0.0).select("uri", F.round("rank", 9).alias("rank"))
 
 
-@register(
-    "table1_q2",
-    f"{solved('q2')}, {LINKED}, r as (select depth, rcc is not null as rel from reached left join rcc using (doc)) select count(*)::bigint as docs, (select count(*) from lk where dst in (select doc from reached))::bigint as edges, sum(rel::int)::bigint as relevant_docs, (select count(*) from sol)::bigint as result_size, round(avg(case when rel and depth > 0 then depth end), 6) as relevant_mean, min(case when rel and depth > 0 then depth end)::int as relevant_min, max(case when rel and depth > 0 then depth end)::int as relevant_max, round(avg(case when not rel and depth > 0 then depth end), 6) as irrelevant_mean, min(case when not rel and depth > 0 then depth end)::int as irrelevant_min, max(case when not rel and depth > 0 then depth end)::int as irrelevant_max from r",
-)
-def table1_q2(spark, sf_dir):
-    got = metrics.subweb_stats(reached_by(spark, sf_dir, "q2"), reached_links(spark, sf_dir, "q2"), timed(spark, sf_dir, "q2"), deep=False)
-    return got.select("docs", F.col("edges").cast("long").alias("edges"), "relevant_docs", F.col("result_size").cast("long").alias("result_size"), *[F.round(c, 6).alias(c) if c.endswith("mean") else F.col(c) for k in ("relevant", "irrelevant") for c in (f"{k}_mean", f"{k}_min", f"{k}_max")])
+def _table1_sql(name: str) -> str:
+    far = lambda rel: f"case when {rel} and depth > 0 then depth end"
+    distances = ", ".join(f"round(avg({far(r)}), 6) as {k}_mean, round(stddev_samp({far(r)}), 6) as {k}_sd, min({far(r)})::int as {k}_min, max({far(r)})::int as {k}_max" for k, r in (("relevant", "rel"), ("irrelevant", "not rel")))
+    return (
+        f"{solved(name)}, {LINKED}, r as (select depth, rcc is not null as rel from reached left join rcc using (doc)) select count(*)::bigint as docs, (select count(*) from lk where dst in (select doc from reached))::bigint as edges, "
+        f"sum(rel::int)::bigint as relevant_docs, round(sum(rel::int) * 100 / count(*), 1) as relevant_pct, (select count(*) from sol)::bigint as result_size, {distances} from r"
+    )
+
+
+for _name in ("q2", "q3", "q4", "q6"):
+
+    @register(f"table1_{_name}", _table1_sql(_name))
+    def _table1(spark, sf_dir, name=_name):
+        """Statistics of the reachable part of a web: components and diameter are queries of their own."""
+        got = metrics.subweb_stats(reached_by(spark, sf_dir, name), reached_links(spark, sf_dir, name), timed(spark, sf_dir, name), deep=False)
+        rounded = [F.round(c, 6).alias(c) if c.endswith(("mean", "sd")) else F.col(c) for k in ("relevant", "irrelevant") for c in (f"{k}_mean", f"{k}_sd", f"{k}_min", f"{k}_max")]
+        return got.select("docs", F.col("edges").cast("long").alias("edges"), "relevant_docs", "relevant_pct", F.col("result_size").cast("long").alias("result_size"), *rounded)
+
+
+def _diameter_sql(name: str, bound: int) -> str:
+    return f"{solved(name)}, {LINKED}, e as materialized (select src, dst from lk where dst in (select doc from reached)), w(a, b, k) as (select doc, doc, 0 from reached union select w.a, e.dst, w.k + 1 from w join e on e.src = w.b where w.k < {bound}) select max(k)::int as diameter from (select a, b, min(k) as k from w group by 1, 2)"
 
 
 @register("sccs_q2", f"{solved('q2')}, {LINKED}, e as materialized (select src, dst from lk where dst in (select doc from reached)), c(a, b) as (select src, dst from e union select c.a, e.dst from c join e on e.src = c.b) select doc as v, least(doc, coalesce(min(x.b), doc)) as component from reached left join (select c.a, c.b from c join c d on d.a = c.b and d.b = c.a) x on x.a = reached.doc group by doc")
@@ -559,16 +573,19 @@ def sccs_q2(spark, sf_dir):
     return got.join(low, "component").select("v", F.col("low").alias("component"))
 
 
-@register("diameter_q3", f"{solved('q3')}, {LINKED}, e as materialized (select src, dst from lk where dst in (select doc from reached)), w(a, b, k) as (select doc, doc, 0 from reached union select w.a, e.dst, w.k + 1 from w join e on e.src = w.b where w.k < 8) select max(k)::int as diameter from (select a, b, min(k) as k from w group by 1, 2)")
-def diameter_q3(spark, sf_dir):
-    docs = reached_by(spark, sf_dir, "q3").select(F.col("doc").alias("v"))
-    return spark.createDataFrame([(linkgraph.diameter(docs, reached_links(spark, sf_dir, "q3")),)], "diameter int")
+for _name in ("q2", "q3"):
 
+    @register(f"diameter_{_name}", _diameter_sql(_name, 8))
+    def _diameter(spark, sf_dir, name=_name):
+        docs = reached_by(spark, sf_dir, name).select(F.col("doc").alias("v"))
+        return spark.createDataFrame([(linkgraph.diameter(docs, reached_links(spark, sf_dir, name)),)], "diameter int")
 
-@register("diameter_sampled")
-def diameter_sampled(spark, sf_dir):
-    docs = reached_by(spark, sf_dir, "q2").select(F.col("doc").alias("v"))
-    return spark.createDataFrame([(linkgraph.diameter(docs, reached_links(spark, sf_dir, "q2"), sample=32),)], "diameter int")
+
+@register("diameter_sampled_q4")
+def diameter_sampled_q4(spark, sf_dir):
+    """A lower bound from 32 sources: the sampling operator for webs whose pairs are too many."""
+    docs = reached_by(spark, sf_dir, "q4").select(F.col("doc").alias("v"))
+    return spark.createDataFrame([(linkgraph.diameter(docs, reached_links(spark, sf_dir, "q4"), sample=32),)], "diameter int")
 
 
 @register("irrelevant_beyond_q4", f"{solved('q4')}, r as (select depth, rcc is not null as rel from reached left join rcc using (doc)), b as (select max(case when rel then depth end) as far, quantile_disc(case when not rel then depth end, 0.5) as mid from r) select sum((not rel and depth > far)::int)::bigint as irrelevant_beyond, sum((rel and depth < mid)::int)::bigint as relevant_before from r, b")
@@ -680,9 +697,9 @@ for _approach in ("fifo", "oracle_rcc", "indegree", "pagerank", "partial_decay",
 
     @register(f"rounds_{_approach}_q2", f"{solved('q2')} select {', '.join(_q.variables)}, {', '.join(f'd{i}' for i in range(_q.n))} from j")
     def _in_rounds(spark, sf_dir, approach=_approach):
-        """Solutions of the distributed traversal, 128 lookups at a time."""
+        """Solutions of the distributed traversal, many lookups at a time: each round of pagerank ranks to its tolerance, so there are fewer."""
         q = WORKLOAD["q2"]
-        return _rounds(spark, sf_dir, "q2", approach, 128)[1].select(*q.variables, *[f"d{i}" for i in range(q.n)])
+        return _rounds(spark, sf_dir, "q2", approach, 512 if approach == "pagerank" else 128)[1].select(*q.variables, *[f"d{i}" for i in range(q.n)])
 
 
 @register("rounds_trace_fifo_q2", f"{ordered('q2', 'fifo')} select rank, doc from upto")
@@ -764,9 +781,15 @@ def routing_policies_q1(spark, sf_dir):
     return _cells(spark, sf_dir, "q1", ("fifo",), experiments.routing_names("q1")).select("routing", "routed", "n_solutions", "t_first", "t_last")
 
 
-@register("routing_by_approach_q2")
-def routing_by_approach_q2(spark, sf_dir):
-    return _cells(spark, sf_dir, "q2", ("partial", "partial_decay", "partial_rel1", "partial_rcc1"), experiments.routing_names("q2", static=False)).select("approach", "routing", "routed", "relRT1st", "relRT50", "relRTCmpl")
+INTERMEDIATE = ("partial", "partial_decay", "partial_rcc1", "partial_rcc2", "partial_rel1", "partial_rel2")
+
+for _name in ("q2",):
+
+    @register(f"routing_by_approach_{_name}")
+    def _routing_by_approach(spark, sf_dir, name=_name):
+        """Approaches that look at partial solutions, under each policy; a query of two patterns leaves no choice."""
+        got = _cells(spark, sf_dir, name, INTERMEDIATE, experiments.routing_names(name, static=False))
+        return got.select("approach", "routing", "routed", "n_solutions", "t_first", "t_half", "t_last", "relRT1st", "relRT50", "relRTCmpl")
 
 
 # Other webs ---------------------------------------------------------------------------------------------------------
