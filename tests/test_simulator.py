@@ -1,7 +1,9 @@
 """The worked example, invariants, and a replay of every choice by a queue written apart from the simulator."""
 
 import random
+from itertools import product
 
+import numpy as np
 import pytest
 
 from webtraverse.operators.routing import POLICIES, Routing, all_static
@@ -119,7 +121,7 @@ def naive_scores(web, trace, solutions, seen, measure, steps):
 @pytest.mark.parametrize("name", ["rcc1", "rcc2", "rel1", "rel2", "indegree"])
 def test_replay_of_every_choice(name):
     """At each step the chosen URI has the highest score, and among equals it arrived first."""
-    for number in range(4):
+    for number in range(12):
         web = web_of(random.Random(100 + number), 25, 80)
         run = cell(web, CHAIN, APPROACHES[name])
         arrived, seen_docs = [1], []
@@ -136,6 +138,81 @@ def test_replay_of_every_choice(name):
                     arrived += [u for u in web.uris(t) if u not in arrived]
 
 
+def partial_coverage(found, order, n):
+    """Per URI the most patterns covered by a partial that was sent on under a static plan: the newest match meets older ones in plan order."""
+    best = {}
+    for size in range(1, n):
+        for start in range(n):
+            chosen = [start, *[i for i in order if i != start][: size - 1]]
+            for rows in product(*[[m for m in found if m[1] == i] for i in chosen]):
+                if max(rows)[:2] != rows[0][:2] or any(r[0] > rows[0][0] for r in rows):
+                    continue
+                binding, ok = {}, True
+                for _, _, values in rows:
+                    for name, value in values:
+                        ok &= binding.setdefault(name, value) == value
+                if ok:
+                    for value in binding.values():
+                        best[value] = max(best.get(value, 0), size)
+    return best
+
+
+@pytest.mark.parametrize("name", ["partial", "partial_decay", *(a for a in ALL if a.startswith("partial_") and a != "partial_decay")])
+@pytest.mark.parametrize("plan", all_static(CHAIN), ids=lambda r: "".join(map(str, r.order)))
+def test_replay_of_partials_and_hybrids(name, plan):
+    """The choice at each step from all partials, contributions and links there are by then, counted anew."""
+    moved = 0
+    for number in range(3):
+        web = web_of(random.Random(200 + number), 25, 80)
+        run = cell(web, CHAIN, ALL[name], plan)
+        arrived, taken, found, start = [1], [], [], {1: 0.0}
+        for step, doc in enumerate(run.trace):
+            queued = [u for u in arrived if u not in taken and u in web.documents]
+            covered = partial_coverage(found, plan.order, CHAIN.n)
+            if name in ("partial", "partial_decay"):
+                scores = {u: max(start[u] if name == "partial_decay" else 0, covered.get(u, start[u] if name == "partial_decay" else 0)) for u in queued}
+            else:
+                near = naive_scores(web, taken, [x for x in run.solutions if x[1] <= step], queued, name.split("_")[1][:3], int(name.split("_")[1][3]))
+                scores = {u: covered.get(u, 0) * (near[u] + (not name.endswith("product"))) for u in queued}
+            assert doc == max(queued, key=lambda u: (scores[u], -arrived.index(u)))
+            moved += doc != queued[0]
+            taken.append(doc)
+            for place, t in enumerate(web.documents[doc]):
+                hits = [i for i, p in enumerate(CHAIN.patterns) if p.p == t[1] and (isinstance(p.s, Var) or p.s == t[0])]
+                for i in hits:
+                    names = [(x.name, v) for x, v in ((CHAIN.patterns[i].s, t[0]), (CHAIN.patterns[i].o, t[2])) if isinstance(x, Var)]
+                    found.append(((step, place), i, names))
+                for u in web.uris(t) if hits else ():
+                    if u not in arrived:
+                        arrived.append(u)
+                        start[u] = scores[doc] - 1
+    assert moved
+
+
+def test_replay_of_pagerank():
+    """Each choice has the greatest stationary probability, solved for directly, on the graph known by then."""
+    for number in range(4):
+        web = web_of(random.Random(300 + number), 25, 80)
+        run = cell(web, CHAIN, APPROACHES["pagerank"])
+        arrived, taken = [1], []
+        for doc in run.trace:
+            queued = [u for u in arrived if u not in taken and u in web.documents]
+            out = {d: {u for t in web.documents[d] for u in web.uris(t)} - {d} for d in taken}
+            known = sorted(set(taken) | {u for u in arrived if u not in taken} | {v for own in out.values() for v in own})
+            place, n = {v: i for i, v in enumerate(known)}, len(known)
+            step = np.full((n, n), 1.0 / n)
+            for d, own in out.items():
+                if own:
+                    step[:, place[d]] = 0
+                    step[[place[v] for v in own], place[d]] = 1 / len(own)
+            rank = np.linalg.solve(np.eye(n) - 0.85 * step, np.full(n, 0.15 / n))
+            assert rank[place[doc]] >= max(rank[place[u]] for u in queued) - 1e-6
+            taken.append(doc)
+            for t in web.documents[doc]:
+                if any(p.p == t[1] and (isinstance(p.s, Var) or p.s == t[0]) for p in CHAIN.patterns):
+                    arrived += [u for u in web.uris(t) if u not in arrived]
+
+
 def test_micro_cases():
     a, b = TriplePattern(1, 10, X), TriplePattern(X, 10, Y)
     twice = ConjunctiveQuery("twice", (a, TriplePattern(1, 10, X)), seeds_given=(1,))
