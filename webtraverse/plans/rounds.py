@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from ..functions.terms import seeded
 from ..operators import construct, linkgraph
-from ..operators.reach import Web, links, matches, matching_triples, seed_frame
+from ..operators.reach import Web, links, matches, matching_triples, ranked, seed_frame
 from ..operators.routing import Routing
 from ..session import discard, durable
 from .approaches import Approach, Arrival, LinkGraph, Oracle, Partial
@@ -37,10 +37,20 @@ class Outcome:
     seconds: list[float] = field(default_factory=list)
 
 
+#: Tables of as many rounds are written as one, so that plans and listings don't grow with the number of rounds.
+FOLD = 8
+
+
 def _all(parts: list[DataFrame]) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
 
+def _fold(parts: list[DataFrame], name: str) -> None:
+    """Once there are ``FOLD`` tables they become one; their rows stay the same."""
+    if len(parts) >= FOLD:
+        parts[:] = [durable(_all(parts), name)]
+
+
 class Traversal:
     def __init__(self, web: Web, query: ConjunctiveQuery, approach: Approach, batch: int = 1000, routing: Routing = Routing(), seed: int = 0, rcc: DataFrame | None = None, stop: Stop | None = None, keep_web: bool = False, seconds: float | None = None):
         self.web, self.query, self.approach, self.batch, self.routing, self.seed, self.stop, self.limit = web, query, approach, batch, routing, seed, stop, seconds
@@ -119,8 +129,8 @@ class Traversal:
         uris = F.array(F.struct(F.lit(0).alias("pos"), F.col("s").alias("uri")), F.struct(F.lit(1).alias("pos"), (F.col("p").cast("long") * 16).alias("uri")), F.struct(F.lit(2).alias("pos"), F.when(F.col("o_kind") == 1, F.col("o")).alias("uri")))
         rows = hits.select("rank", "s", "p", "o", "prio", F.explode(uris).alias("u")).where("u.uri >= 0")
         firsts = rows.groupBy(F.col("u.uri").alias("uri")).agg(F.min(F.struct("rank", "s", "p", "o", "u.pos")).alias("o"), F.min_by("prio", F.struct("rank", "s", "p", "o", "u.pos")).alias("parent_prio"))
-        new = firsts.join(_all(self.seen), "uri", "left_anti")
-        return durable(new.select("uri", (F.row_number().over(W.orderBy("o")) + self.arrivals).cast("long").alias("enq"), "parent_prio"), "new")
+        new = ranked(firsts.join(_all(self.seen), "uri", "left_anti"), "o")
+        return durable(new.select("uri", (F.col("rank") + self.arrivals).cast("long").alias("enq"), "parent_prio"), "new")
 
     def _construct(self, docs: DataFrame, triples: DataFrame) -> None:
         fresh = construct.stamped(matches(triples, self.query), docs)
@@ -199,6 +209,8 @@ class Traversal:
             self.changes += after.join(waiting.select("uri", "was"), "uri").where("was <> prio").count() if self.approach.adaptive else 0
             discard(queue)
             queue = after
+            for parts, name in ((self.seen, "seen"), (self.edges, "edges"), (self.found, "matches"), (self.solutions, "solutions"), (self.trace, "trace")):
+                _fold(parts, name)
             clock.append(time.time() - t)
         q = self.query
         ids = ", ".join(f"d{i} long" for i in range(q.n))
