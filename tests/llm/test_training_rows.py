@@ -35,3 +35,14 @@ def test_pairs_of_a_block_equal_pairs_written_out():
     p = 1 / (1 + np.exp(d @ w))
     want = np.concatenate([[15], d.T @ p, ((d * (p * (1 - p))[:, None]).T @ d).ravel()])
     assert np.allclose(quality._preferences(good, bad, w), want)
+
+
+def test_the_pipelines_quality_stage_learns_from_every_label(spark, tmp_path, monkeypatch):
+    import corpus_pipeline
+
+    docs, labels = labelled(spark, 17_000, 2)
+    labels.write.parquet(f"{tmp_path}/labels.parquet")
+    used, fit = [], quality.fit
+    monkeypatch.setattr(quality, "fit", lambda rows: used.append(rows.where("copy = 0").count()) or fit(rows))
+    corpus_pipeline.quality_stage(spark, docs, str(tmp_path))
+    assert used == [17_000]
